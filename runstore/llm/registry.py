@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
-from runstore.llm import token_store
+from runstore.llm import piece_codec, token_store
 
-QUERIES = {"op2_token_store": token_store.query}
+QUERIES = {
+    "op2_token_store": token_store.query,
+    "op8_piece_codec": piece_codec.query,
+}
 ORACLES: dict[str, str] = {}
