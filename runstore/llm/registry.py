@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from runstore.llm import interleave, piece_codec, token_store
+from runstore.llm import interleave, language_id, piece_codec, token_store
 
 QUERIES = {
     "op2_token_store": token_store.query,
     "op3_interleave": interleave.query,
+    "op5_language_id": language_id.query,
     "op8_piece_codec": piece_codec.query,
 }
 ORACLES: dict[str, str] = {}
