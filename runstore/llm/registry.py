@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
-from runstore.llm import decontaminate, interleave, language_id, near_dup, piece_codec, quality, token_store
+from runstore.llm import decontaminate, interleave, language_id, lm_score, near_dup, piece_codec, quality, token_store
 
 QUERIES = {
     "op2_token_store": token_store.query,
     "op3_interleave": interleave.query,
     "op4_near_dup": near_dup.query,
     "op5_language_id": language_id.query,
+    "op6_lm_score": lm_score.query,
     "op7_decontaminate": decontaminate.query,
     "op8_piece_codec": piece_codec.query,
     "op10_quality": quality.query,
 }
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op6_lm_score": lm_score.ORACLE}
