@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from runstore.llm import decontaminate, interleave, language_id, lm_score, near_dup, piece_codec, quality, token_store
+from runstore.llm import decontaminate, interleave, language_id, license_scan, lm_score, near_dup, piece_codec, quality, token_store
 
 QUERIES = {
     "op2_token_store": token_store.query,
@@ -12,6 +12,7 @@ QUERIES = {
     "op6_lm_score": lm_score.query,
     "op7_decontaminate": decontaminate.query,
     "op8_piece_codec": piece_codec.query,
+    "op9_license_scan": license_scan.query,
     "op10_quality": quality.query,
 }
 ORACLES: dict[str, str] = {"op6_lm_score": lm_score.ORACLE}
