@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from runstore.llm import decontaminate, interleave, language_id, license_scan, lm_score, near_dup, piece_codec, quality, token_store
+from runstore.llm import decontaminate, interleave, language_id, license_scan, lm_score, near_dup, piece_codec, quality, token_store, vector_dup
 
 QUERIES = {
+    "op1_vector_dup": vector_dup.query,
     "op2_token_store": token_store.query,
     "op3_interleave": interleave.query,
     "op4_near_dup": near_dup.query,
