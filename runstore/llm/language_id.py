@@ -23,7 +23,7 @@ the alphabetically first language.  Ids may be null or repeated.
 from __future__ import annotations
 
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -40,6 +40,8 @@ UNDETERMINED = "und"
 STRANGE = 1e-7
 #: Words a worker remembers with their scores.
 CACHE_WORDS = 500_000
+#: Words looked up at a time.
+HELD_WORDS = 300_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -254,15 +256,43 @@ class Scorer:
             index.update(zip(new, range(n, n + len(new))))
         return np.fromiter(map(index.__getitem__, words), np.int64, len(words))
 
+    def documents(self, texts: Iterable[str | None]) -> Iterator[tuple[str, float]]:
+        """(language, posterior) of each text; new words of many texts are scored at once."""
+        held: list[str] = []
+        cuts = [0]
+        rest = 0.0  # of a long text whose words do not fit at once
+        for text in texts:
+            words = (text or "").split()
+            while len(words) > HELD_WORDS:
+                rest = rest + self.scores_of(words[:HELD_WORDS]).sum(0)
+                words = words[HELD_WORDS:]
+            if not isinstance(rest, float):
+                yield from self._decide(held, cuts)
+                held, cuts = [], [0]
+                yield self._best(rest + self.scores_of(words).sum(0))
+                rest = 0.0
+                continue
+            held += words
+            cuts.append(len(held))
+            if len(held) > HELD_WORDS:
+                yield from self._decide(held, cuts)
+                held, cuts = [], [0]
+        yield from self._decide(held, cuts)
+
     def document(self, text: str | None) -> tuple[str, float]:
-        words = (text or "").split()
-        if not words or not self.model.languages:
-            return UNDETERMINED, 0.0
-        total = np.zeros(self.scores.shape[1])
-        for s in range(0, len(words), 100_000):
-            rows = self.rows(words[s : s + 100_000])
-            total += self.scores[rows].sum(0)
-        if not total[-1]:
+        return next(self.documents([text]))
+
+    def scores_of(self, words: list[str]) -> np.ndarray:
+        rows = self.rows(words)
+        return self.scores[rows]
+
+    def _decide(self, words: list[str], cuts: list[int]) -> Iterator[tuple[str, float]]:
+        if len(cuts) > 1:
+            sums = np.concatenate([np.zeros((1, self.scores.shape[1])), np.cumsum(self.scores_of(words), 0)])
+            yield from map(self._best, sums[cuts[1:]] - sums[cuts[:-1]])
+
+    def _best(self, total: np.ndarray) -> tuple[str, float]:
+        if not self.model.languages or total[-1] < 0.5:
             return UNDETERMINED, 0.0
         best = int(np.argmax(total[:-1]))
         return self.model.languages[best], float(1.0 / np.exp(total[:-1] - total[best]).sum())
@@ -284,7 +314,7 @@ def identify(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame
             _scorers[key] = Scorer(model)
         scorer = _scorers[key]
         for batch in batches:
-            got = [scorer.document(t.as_py()) for t in batch.column(batch.num_columns - 1)]
+            got = list(scorer.documents(t.as_py() for t in batch.column(batch.num_columns - 1)))
             yield pa.RecordBatch.from_arrays(
                 [*batch.columns[:-1], pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())],
                 names=[*batch.schema.names[:-1], "lang_pred", "score"],
