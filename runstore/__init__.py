@@ -1,0 +1 @@
+"""A run-length relational engine on Spark: sorted projections stored as run tables, and query rewriting over them."""
