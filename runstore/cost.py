@@ -64,7 +64,7 @@ def row_pages(catalog, q: StarQuery, model: CostModel) -> int:
 
 def floor_pages(catalog, q: StarQuery, p: SortedProjection, model: CostModel) -> int:
     """Pages that any column plan must read: per needed column the better of runs and plain values within the confined span."""
-    kinds = dict(p.frame(catalog).dtypes)
+    kinds = rewrite.column_kinds(catalog, p)
     total = 0
     for c, df in zip(rewrite.needed_columns(p, q), baselines.floor_scan(catalog, q, p)):
         n_runs, n_rows = df.agg(F.count("*"), F.sum("c")).first()

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -17,6 +19,11 @@ def needed_columns(p: SortedProjection, q: StarQuery) -> list[str]:
     return [c for c in p.sort_cols if c in q.needed]
 
 
+def column_kinds(catalog, p: SortedProjection) -> dict[str, str]:
+    """SQL types of the projection's columns."""
+    return catalog.made(("kinds", p), lambda: dict(p.frame(catalog).dtypes))
+
+
 def _values(rt: RunTable, q: StarQuery, span: Span | None, keep_parent: bool) -> DataFrame:
     """Runs of one column in a span whose values pass, v renamed to the column."""
     df = layout.read_runs(rt, span)
@@ -26,13 +33,19 @@ def _values(rt: RunTable, q: StarQuery, span: Span | None, keep_parent: bool) ->
     return df.select("f", "c", F.col("v").alias(rt.column), *(["parent_f"] if keep_parent else []))
 
 
-def _pick(catalog, outer_runs: int, adjacent: bool) -> str:
-    if outer_runs <= bandjoin.BROADCAST_RUNS:
-        return "broadcast_block"
-    return "parent" if adjacent else "copartition"
+def _pick(outer_runs: int, adjacent: bool) -> str:
+    """Equality of starts where the inner column lies right below; else blocks, broadcast while the outer's exact count allows."""
+    if adjacent:
+        return "parent"
+    return "broadcast_block" if outer_runs <= bandjoin.BROADCAST_RUNS else "copartition"
+
+
+def block_for(outer: RunTable) -> int:
+    """A block of about 16 outer runs, so that an inner run meets few of them whatever their length."""
+    return 1 << max(4, math.ceil(math.log2(16 * max(1, outer.rows) / max(1, outer.runs))))
 
 
-def positions_of(catalog, q: StarQuery, p: SortedProjection, collapsing: bool = True, join: str | None = None, block: int = bandjoin.BLOCK) -> tuple[DataFrame, dict[str, object]] | None:
+def positions_of(catalog, q: StarQuery, p: SortedProjection, collapsing: bool = True, join: str | None = None) -> tuple[DataFrame, dict[str, object]] | None:
     """Qualifying runs of the deepest needed column with all needed values, and values known as literals.
 
     None if a collapsed span shows that nothing qualifies.
@@ -54,10 +67,12 @@ def positions_of(catalog, q: StarQuery, p: SortedProjection, collapsing: bool =
         if df is None:
             df = inner
         else:
-            how = join or _pick(catalog, tables[before].runs, parent)
+            how = join or _pick(tables[before].runs, parent)
             if how == "parent" and not parent:
-                how = "broadcast_block"
-            df = bandjoin.containment_join(df, inner, how, block)
+                how = _pick(tables[before].runs, False)
+            if how == "parent" and tables[before].runs <= bandjoin.BROADCAST_RUNS:
+                df = F.broadcast(df)
+            df = bandjoin.containment_join(df, inner, how, block_for(tables[before]))
             if parent:
                 df = df.drop("parent_f")
         before = c
@@ -73,7 +88,7 @@ def rewrite_runs(catalog, q: StarQuery, p: SortedProjection, collapsing: bool =
     """
     if not p.covers(q):
         raise ValueError(f"{p.name} does not cover the query")
-    kinds = dict(p.frame(catalog).dtypes)
+    kinds = column_kinds(catalog, p)
     if plan in ("sortagg", "eager"):
         return _by_parent(catalog, q, p, plan, kinds)
     got = positions_of(catalog, q, p, collapsing, join)
@@ -130,7 +145,7 @@ def _by_parent(catalog, q: StarQuery, p: SortedProjection, plan: str, kinds: dic
         # a merge join on the group's key leaves rows in its order, so the aggregate streams
         hinted = outer.hint("merge").join(values.hint("merge"), F.col("of") == F.col("parent_f"))
         sums = _partial(hinted.groupBy("of"), q, inner, kinds).withColumnRenamed("of", "_of")
-        joined = outer.join(F.broadcast(sums) if rt.depth == 0 else sums, F.col("of") == F.col("_of"))
+        joined = outer.join(sums, F.col("of") == F.col("_of"))
     out = []
     for a in q.aggs:
         total = F.sum(f"_{a.alias}")
@@ -156,7 +171,7 @@ def last_children(catalog, q: StarQuery, p: SortedProjection) -> DataFrame:
     group, inner = cols[-2], cols[-1]
     if agg.fn not in ("max", "min") or agg.col != inner or q.columns != (group,) or p.depth(inner) != p.depth(group) + 1:
         raise ValueError("the query is not a MAX or MIN right below its group column")
-    kinds = dict(p.frame(catalog).dtypes)
+    kinds = column_kinds(catalog, p)
     above = StarQuery(q.base, q.joins, tuple(x for x in q.preds if x.col != inner), (group,), ())
     got = positions_of(catalog, above, p)
     if got is None:

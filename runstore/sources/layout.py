@@ -53,7 +53,7 @@ def read_runs(rt: RunTable, span: Span | None = None) -> DataFrame:
 
 def read_by_value(catalog, rt: RunTable, preds: tuple[Pred, ...] = ()) -> DataFrame:
     """Runs whose value passes, from the copy ordered by value."""
-    df = catalog.spark.read.parquet(rt.by_value)
+    df = catalog.made(("by value", rt.by_value), lambda: catalog.spark.read.schema(rt.frame.schema if rt.layout == "runs" else rt.frame.drop("c").schema).parquet(rt.by_value))
     for p in preds:
         df = df.where(p.on(F.col("v")))
     return with_counts(df)
