@@ -8,7 +8,8 @@ from dataclasses import dataclass
 from pyspark.sql import functions as F
 
 from runstore.operators import runs
-from runstore.plans import baselines, rewrite
+from runstore.plans import baselines, collapse, rewrite
+from runstore.sources import layout
 from runstore.sources.layout import width
 from runstore.spec import Pred, RunTable, SortedProjection, StarQuery
 
@@ -78,6 +79,14 @@ def run_tuples(catalog, q: StarQuery, p: SortedProjection) -> int:
     return sum(df.count() for df in baselines.floor_scan(catalog, q, p))
 
 
+def outer_rows(catalog, q: StarQuery, p: SortedProjection, collapsing: bool) -> int:
+    """Outer tuples that drive the inner access: one span if it collapses, else the qualifying leading runs."""
+    lead = rewrite.needed_columns(p, q)[0]
+    if collapsing and collapse.is_contiguous(p, q, lead):
+        return 1
+    return layout.read_by_value(catalog, runs.build_runs(catalog, p)[lead], tuple(x for x in q.preds if x.col == lead)).count()
+
+
 def q_error(estimate: float, actual: float) -> float:
     """How far a cardinality estimate is off, as a factor."""
     a, b = max(1.0, estimate), max(1.0, actual)

@@ -263,3 +263,15 @@ def test_sql_text():
 def test_manifest(cat, spark):
     path = cat.save_manifest("m", [{"a": 1}, {"a": 2}])
     assert sorted(json.loads(r[0])["a"] for r in spark.read.text(path).collect()) == [1, 2]
+
+
+def test_scan_metrics(cat):
+    got = {(r["query"], r["strategy"]): r for r in queries.scan_counts(cat).collect()}
+    assert got["q1", "columnar"]["rows_read"] == 6000
+    assert 0 < got["q1", "runs"]["rows_read"] < 6000 and got["q7", "views"]["rows_read"] == 75
+    assert got["q1", "runs"]["bytes_read"] < got["q1", "columnar"]["bytes_read"]
+
+
+def test_outer_rows(cat):
+    got = {r["query"]: (r["seek"], r["collapsed"]) for r in queries.outer_rows(cat).collect()}
+    assert got["q3"][0] > 100 and got["q3"][1] == 1
