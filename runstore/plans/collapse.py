@@ -6,7 +6,7 @@ reach the Parquet scan, literals do, and prune its row groups.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from runstore.spec import Pred, RunTable, Span, StarQuery, SortedProjection
@@ -41,9 +41,16 @@ def collapse_span(catalog, rt: RunTable, preds: tuple[Pred, ...], within: Span |
 
 
 def collapse_spans(runs: DataFrame, most: int = 1000) -> list[Span] | None:
-    """Qualifying runs (f, c) as few spans, for IN lists and the like; None if there are more than `most`."""
-    w = Window.orderBy("f")
-    near = runs.select("f", "c").withColumn("new", (F.coalesce(F.lag(F.col("f") + F.col("c")).over(w) != F.col("f"), F.lit(True))).cast("int"))
-    near = near.withColumn("g", F.sum("new").over(w.rowsBetween(Window.unboundedPreceding, 0)))
-    got = near.groupBy("g").agg(F.min("f").alias("lo"), F.max(F.col("f") + F.col("c") - 1).alias("hi")).orderBy("lo").limit(most + 1).collect()
-    return None if len(got) > most else [Span(r["lo"], r["hi"]) for r in got]
+    """Qualifying runs (f, c) as few spans, for IN lists and the like; None if there are more than `most`.
+
+    A span starts at a run that no other ends before, and ends at one that no
+    other starts after: two anti-joins, and no order over all runs.
+    """
+    df = runs.select("f", (F.col("f") + F.col("c")).alias("after"))
+    starts = df.select("f").join(df.select(F.col("after").alias("f")), "f", "left_anti")
+    ends = df.select("after").join(df.select(F.col("f").alias("after")), "after", "left_anti")
+    lows = [r[0] for r in starts.orderBy("f").limit(most + 1).collect()]
+    if len(lows) > most:
+        return None
+    highs = [r[0] for r in ends.orderBy("after").limit(most + 1).collect()]
+    return [Span(lo, hi - 1) for lo, hi in zip(lows, highs, strict=True)]
