@@ -42,7 +42,7 @@ _CLASS[48:58], _CLASS[97:123], _CLASS[65:91] = 3, 4, 5
 _CLASS[[ord(c) for c in ".?!"]], _CLASS[[ord(c) for c in ",;:"]], _CLASS[ord("|")] = 6, 7, 10
 _CLASS[128:] = 9
 CLASSES = 11
-CUT, LOST = 0.3, 0.005
+CUT, LOST = 0.3, 0.002
 FEATURES = CLASSES + 13
 
 
