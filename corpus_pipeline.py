@@ -18,6 +18,7 @@ LEAST_LANGUAGE_SCORE = 0.5
 
 def with_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents of a language that can be told; texts without a letter go."""
+    base.bounded_batches(spark)
     model = language_id.train(docs.where(language_id.fold("doc_id", 3) != 1))
     got = language_id.identify(docs, model)
     return got.where((F.col("lang_pred") != language_id.UNDETERMINED) & (F.col("score") >= LEAST_LANGUAGE_SCORE)).select(*docs.columns)
@@ -31,6 +32,7 @@ def of_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates, that of the least id."""
+    base.bounded_batches(spark)
     return near_dup.deduplicate(docs)
 
 
@@ -42,6 +44,7 @@ def uncontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def tokenized(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids (with begin and end), their number, and whether they decode to the text."""
+    base.bounded_batches(spark)
     sums = piece_codec.encode_decode(docs.select("doc_id", "text"))
     return sums.select("doc_id", "n_tokens", F.col("ids").cast("array<int>").alias("ids"), F.sha2("decoded", 256).alias("decoded_sha256"))
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import math
 import uuid
 from collections.abc import Callable, Iterable
@@ -14,7 +15,15 @@ from pyspark.sql import functions as F
 BROADCAST_ROWS = 2_000_000
 
 
+def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """At most so many rows in an Arrow batch from here on: texts may be long, and batches are held whole."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if int(spark.conf.get(key, "10000")) > rows:
+        spark.conf.set(key, str(rows))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    bounded_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -52,6 +61,25 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+_held: dict = {}
+
+
+def held(key: tuple, make: Callable):
+    """What make gives, kept in this Python worker until another operator asks for its own.
+
+    Workers outlive tasks and stages, so only one operator's state stays.
+    """
+    if key not in _held:
+        if _held:
+            _held.clear()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)  # hand freed memory back, where the C library can
+            except (AttributeError, OSError):
+                pass
+        _held[key] = make()
+    return _held[key]
+
+
 class TwoGenerationCache:
     """A bounded dict: when the young generation is full it becomes the old one.
 

@@ -140,9 +140,6 @@ def _blocks(benchmark: DataFrame, item_col: str, text_col: str, least_words: int
         yield [r for r in rows if r[1].count(" ") + 1 >= least_words and r[1]]
 
 
-_matchers: dict = {}
-
-
 def find_items(docs: DataFrame, benchmark: DataFrame, budget: float = BUDGET, least_words: int = LEAST_WORDS, block_chars: int = BLOCK_CHARS, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """Rows (doc_id, item_id, distance, span_start, span_end, places) of contaminated documents."""
     spark = docs.sparkSession
@@ -159,15 +156,9 @@ def find_items(docs: DataFrame, benchmark: DataFrame, budget: float = BUDGET, le
 
 def _matcher(items: list, budget: float, number: int):
     """A function that gives this worker's automaton for a block of items."""
-    key = (number, len(items), hash(tuple(items)), budget)
-
-    def get() -> Matcher:
-        if key not in _matchers:
-            _matchers.clear()
-            _matchers[key] = Matcher(items, budget)
-        return _matchers[key]
+    key = ("matcher", number, len(items), hash(tuple(items)), budget)
 
-    return get
+    return lambda: base.held(key, lambda: Matcher(items, budget))
 
 
 def _search(items: list, budget: float, number: int):

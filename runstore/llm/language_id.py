@@ -39,9 +39,9 @@ UNDETERMINED = "und"
 #: Probability of a letter that is in no piece, in any language.
 STRANGE = 1e-7
 #: Words a worker remembers with their scores.
-CACHE_WORDS = 500_000
+CACHE_WORDS = 250_000
 #: Words looked up at a time.
-HELD_WORDS = 300_000
+HELD_WORDS = 100_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -298,21 +298,15 @@ class Scorer:
         return self.model.languages[best], float(1.0 / np.exp(total[:-1] - total[best]).sum())
 
 
-_scorers: dict = {}
-
-
 def identify(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
     """docs with lang_pred and score (replacing columns of these names); no shuffle."""
     keep = [c for c in docs.columns if c not in ("lang_pred", "score")]
     rows = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`").alias("__text"))
     schema = docs.select(*[F.col(f"`{c}`") for c in keep]).schema.add("lang_pred", "string").add("score", "double")
-    key = (model.vocabulary, tuple(model.languages), hash(model.probability.tobytes()))
+    key = ("language", model.vocabulary, tuple(model.languages), hash(model.probability.tobytes()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if key not in _scorers:
-            _scorers.clear()
-            _scorers[key] = Scorer(model)
-        scorer = _scorers[key]
+        scorer = base.held(key, lambda: Scorer(model))
         for batch in batches:
             got = list(scorer.documents(t.as_py() for t in batch.column(batch.num_columns - 1)))
             yield pa.RecordBatch.from_arrays(

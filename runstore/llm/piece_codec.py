@@ -41,10 +41,10 @@ from pyspark.sql import functions as F
 from runstore.llm import base
 
 MARK = "▁"
-CACHE_CHUNKS = 400_000
-CACHE_PAIRS = 3_000_000
+CACHE_CHUNKS = 250_000
+CACHE_PAIRS = 1_000_000
 #: Characters decoded at a time.
-DECODE_CHARS = 4_000_000
+DECODE_CHARS = 2_000_000
 
 
 class PrefixTableEncoder:
@@ -217,13 +217,9 @@ class PrefixTableEncoder:
         return self.lib.decode([np.frombuffer(b, "<u4").tolist() for b in ids], num_threads=1)
 
 
-_encoders: dict[str, PrefixTableEncoder] = {}
-
-
 def encoder(model: str) -> PrefixTableEncoder:
-    if model not in _encoders:
-        _encoders[model] = PrefixTableEncoder(model)
-    return _encoders[model]
+    """This worker's encoder; workers outlive tasks, so strings stay known."""
+    return base.held(("pieces", model), lambda: PrefixTableEncoder(model))
 
 
 def encode_decode(docs: DataFrame, model: str = "piece_bpe_32k.model", id_col: str = "doc_id", text_col: str = "text", digest: bool = False) -> DataFrame:

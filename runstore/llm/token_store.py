@@ -187,14 +187,9 @@ class WordEncoder:
         return b"".join([known[w] for w in words])
 
 
-_encoders: dict = {}
-
-
 def encoder(name: str, split_marks: bool) -> WordEncoder:
     """This worker's encoder; workers outlive tasks, so words stay known."""
-    if (name, split_marks) not in _encoders:
-        _encoders[name, split_marks] = WordEncoder(name, split_marks)
-    return _encoders[name, split_marks]
+    return base.held(("words", name, split_marks), lambda: WordEncoder(name, split_marks))
 
 
 SEGMENTS = "part int, seq int, base long, docs long, tokens long, doc_ids binary, null_ids binary, segment binary"
