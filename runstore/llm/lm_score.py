@@ -14,6 +14,14 @@ counts, bigram counts and scores are taken over all documents and whole texts;
 only the vocabulary (`words` entries) and the bigram tables (at most words^2
 entries) reach the driver and are broadcast, whatever the corpus' size.
 
+`score_whole` is the same model over every word of the background (the unknown
+word stays, never counted), so nothing is lost to a cut vocabulary.  Words are
+64-bit hashes; bigram and word counts are tables that grow with the corpus and
+are only joined.  What reaches the driver are totals and the counts of the
+`_HOT` most frequent bigrams and words at most: these are broadcast, so that no
+frequent key meets one task; all others are joined by shuffles.  Documents of
+the same words are scored once.
+
 A null text, or one without words, has 0 tokens and null losses and score.
 Target ids that are null or not in the documents count for nothing; repeated
 ids count once per document row.  An empty target set leaves the target model
@@ -23,10 +31,11 @@ uniform.
 from __future__ import annotations
 
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,6 +44,11 @@ from runstore.llm import base
 WORDS, WEIGHT = 1024, 0.7
 #: Tokens counted before their sums are handed on.
 _HELD = 2_000_000
+#: Frequent words, and frequent bigrams, that are broadcast.
+_HOT = 1 << 18
+#: Stands before the first word.
+_START = np.int64(0x51A27)
+_STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
 def tokens(text: str | None) -> list[bytes]:
@@ -148,13 +162,154 @@ def score(docs: DataFrame, target_ids: DataFrame, words: int = WORDS, weight: fl
     return rows.mapInArrow(run, "doc_id long, n_tokens long, target_loss double, background_loss double, score double")
 
 
-def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Target: documents labelled of good quality; losses rounded to 6 places."""
+def hashed(text: str | None) -> tuple[int, np.ndarray, np.ndarray, np.ndarray]:
+    """Key of the text's words and, for each token, the hashes of context, word and bigram."""
+    words = tokens(text)
+    w = np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words)).view(np.int64)
+    v = np.concatenate([[_START], w[:-1]]) if len(w) else w
+    return _key(words), v, w, _pair(v, w)
+
+
+def _key(words: list[bytes]) -> int:
+    return xxhash.xxh3_64_intdigest(b" ".join(words), seed=1) - (1 << 63)
+
+
+def _pair(v: np.ndarray, w: np.ndarray) -> np.ndarray:
+    return base.mix64(v.view(np.uint64) * _STEP + w.view(np.uint64))
+
+
+def _frequencies(rows: DataFrame) -> DataFrame:
+    """Rows (v, w, b, t): each bigram's count in all documents and in the target's, of a frame (text, in_target)."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list = []
+        n = 0
+
+        def done() -> pa.RecordBatch:
+            v, w, p, t = (np.concatenate(c) for c in zip(*held)) if held else (np.zeros(0, np.int64),) * 4
+            _, at, to = np.unique(p, return_index=True, return_inverse=True)
+            b, good = np.bincount(to, minlength=len(at)), np.bincount(to, t, len(at))
+            held.clear()
+            return pa.RecordBatch.from_arrays([pa.array(v[at]), pa.array(w[at]), pa.array(b.astype(np.int64)), pa.array(good.astype(np.int64))], names=["v", "w", "b", "t"])
+
+        for batch in batches:
+            for text, target in zip(batch.column(0), batch.column(1).to_pylist()):
+                _, v, w, p = hashed(text.as_py())
+                held.append((v, w, p, np.full(len(w), int(target), np.int64)))
+                n += len(w)
+                if n > _HELD:
+                    yield done()
+                    n = 0
+        yield done()
+
+    got = rows.mapInArrow(count, "v long, w long, b long, t long")
+    return got.groupBy("v", "w").agg(F.sum("b").alias("b"), F.sum("t").alias("t"))
+
+
+def _frequent(df: DataFrame, count: str, most: int) -> int:
+    """The least power of two that at most `most` rows' counts reach."""
+    tiers = df.groupBy(F.floor(F.log2(count)).cast("int").alias("k")).agg(F.count("*").alias("n")).collect()
+    least = 0
+    for k in sorted((r["k"] for r in tiers), reverse=True):
+        if sum(r["n"] for r in tiers if r["k"] >= k) > most:
+            least = k + 1
+            break
+    return 1 << least
+
+
+def _with_counts(pairs: DataFrame, words: DataFrame, least: int, on: str, columns: dict[str, str]) -> DataFrame:
+    """pairs with the named counts of the word in column `on`: frequent words by broadcast, the others by a shuffled join."""
+    table = words.select(F.col("word").alias(on), "occurs", *[F.col(a).alias(b) for a, b in columns.items()])
+    marked = pairs.join(F.broadcast(table.where(F.col("occurs") >= least).drop("occurs")), on, "left")
+    first = next(iter(columns.values()))
+    seldom = marked.where(F.col(first).isNull()).drop(*columns.values())
+    return marked.where(F.col(first).isNotNull()).unionByName(seldom.join(table.where(F.col("occurs") < least).drop("occurs").hint("shuffle_merge"), on))
+
+
+def score_whole(docs: DataFrame, target_ids: DataFrame, weight: float = WEIGHT, id_col: str = "doc_id", text_col: str = "text", most: int = _HOT) -> DataFrame:
+    """Rows as of `score`, the vocabulary being every word of docs."""
+    ids = base.stored(target_ids.select(F.col(target_ids.columns[0]).cast("long").alias("__target")).where("__target is not null").distinct(), "lm_target")
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("t"))
+    marked = rows.join(base.checked_broadcast(ids), F.col("doc_id") == F.col("__target"), "left").select("t", F.col("__target").isNotNull().alias("in_target"))
+    freq = base.stored(_frequencies(marked), "lm_freq")
+    zero = F.lit(0).cast("long")
+    as_word = freq.groupBy(F.col("w").alias("word")).agg(F.sum("b").alias("b"), F.sum("t").alias("t"))
+    as_context = freq.groupBy(F.col("v").alias("word")).agg(F.sum("b").alias("cb"), F.sum("t").alias("ct"))
+    both = as_word.select("word", "b", "t", zero.alias("cb"), zero.alias("ct")).union(as_context.select("word", zero, zero, "cb", "ct"))
+    words = both.groupBy("word").agg(*[F.sum(c).alias(c) for c in ("b", "t", "cb", "ct")]).withColumn("occurs", F.greatest("b", "cb"))
+    words = base.stored(words, "lm_words")
+    total = words.agg(F.sum("b").alias("b"), F.sum("t").alias("t"), F.count_if(F.col("b") > 0).alias("k")).first()
+    least = _frequent(words, "occurs", most)
+    known = _with_counts(freq, words, least, "v", {"cb": "cb", "ct": "ct"})
+    known = _with_counts(known, words, least, "w", {"b": "ub", "t": "ut"})
+
+    def loss(n: str, context: str, word: str, tokens: int) -> F.Column:
+        plain = (F.col(word) + 1) / F.lit(float(tokens + total["k"] + 1))
+        mixed = F.lit(weight) * F.col(n) / F.col(context) + F.lit(1 - weight) * plain
+        return -F.log(F.when(F.col(context) > 0, mixed).otherwise(plain))
+
+    prob = known.select("v", "w", "b", loss("t", "ct", "ut", total["t"] or 0).alias("lt"), loss("b", "cb", "ub", total["b"] or 0).alias("lb"))
+    prob = base.stored(prob, "lm_prob")
+    floor = _frequent(prob, "b", most)
+    hot = prob.where(F.col("b") >= floor).toPandas()
+    hot_v, hot_w = hot["v"].to_numpy(np.int64), hot["w"].to_numpy(np.int64)
+    hot_p, hot_l = _pair(hot_v, hot_w), hot[["lt", "lb"]].to_numpy(float)
+    order = np.argsort(hot_p)
+    hot_v, hot_w, hot_p, hot_l = hot_v[order], hot_w[order], hot_p[order], hot_l[order]
+
+    def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """A row per seldom bigram of a text, and one (v = w = key) with the losses of all its frequent ones."""
+        for batch in batches:
+            out = []
+            for text in batch.column(0):
+                key, v, w, p = hashed(text.as_py())
+                if not len(w):
+                    continue
+                p, first, n = np.unique(p, return_index=True, return_counts=True)
+                v, w = v[first], w[first]
+                at = np.minimum(np.searchsorted(hot_p, p), len(hot_p) - 1)
+                hit = (hot_v[at] == v) & (hot_w[at] == w) if len(hot_p) else np.zeros(len(p), bool)
+                sums = n[hit] @ hot_l[at[hit]] if hit.any() else np.zeros(2)
+                cold = ~hit
+                m = int(cold.sum())
+                out.append((np.full(m + 1, key), np.full(m + 1, n.sum()), np.append(v[cold], key), np.append(w[cold], key), np.append(n[cold], 0), np.append(np.full(m, np.nan), sums[0]), np.append(np.full(m, np.nan), sums[1])))
+            if out:
+                cols = [np.concatenate(c) for c in zip(*out)]
+                arrays = [pa.array(c) for c in cols[:5]] + [pa.array(c, mask=np.isnan(c)) for c in cols[5:]]
+                yield pa.RecordBatch.from_arrays(arrays, names=["key", "m", "v", "w", "n", "st", "sb"])
+
+    parts = rows.select("t").mapInArrow(emit, "key long, m long, v long, w long, n long, st double, sb double")
+    joined = parts.join(prob.where(F.col("b") < floor).select("v", "w", "lt", "lb"), ["v", "w"], "left")
+    # texts of the same words add the same to sums and tokens
+    texts = F.count_if(F.col("n") == 0)
+    sums = joined.groupBy("key", "m").agg(*[(F.sum(F.coalesce(a, F.col("n") * F.col(b))) / texts / F.col("m")).alias(c) for a, b, c in (("st", "lt", "target_loss"), ("sb", "lb", "background_loss"))])
+    sums = base.stored(sums, "lm_sums")
+
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            words = [tokens(t.as_py()) for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([_key(w) for w in words], pa.int64()), pa.array([len(w) for w in words], pa.int64())], names=["doc_id", "key", "m"])
+
+    out = rows.mapInArrow(keys, "doc_id long, key long, m long").join(base.checked_broadcast(sums), ["key", "m"], "left")
+    return out.select("doc_id", F.col("m").alias("n_tokens"), "target_loss", "background_loss", (F.col("target_loss") - F.col("background_loss")).alias("score"))
+
+
+def _rounded(spark: SparkSession, sf_dir: str, how: Callable[[DataFrame, DataFrame], DataFrame]) -> DataFrame:
     good = base.table(spark, sf_dir, "labels").where("quality = 1").select("doc_id")
-    out = score(base.table(spark, sf_dir, "documents"), good)
+    out = how(base.table(spark, sf_dir, "documents"), good)
     return out.select("doc_id", "n_tokens", *[F.round(c, 6).alias(c) for c in ("target_loss", "background_loss", "score")])
 
 
+def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Target: documents labelled of good quality; losses rounded to 6 places."""
+    return _rounded(spark, sf_dir, score)
+
+
+def query_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """As `query`, over every word."""
+    return _rounded(spark, sf_dir, score_whole)
+
+
 ORACLE = r"""
 WITH tok AS (
   SELECT doc_id, unnest(words) AS w, generate_subscripts(words, 1) AS i
@@ -182,3 +337,6 @@ prob AS (
 SELECT d.doc_id, coalesce(n_tokens, 0)::BIGINT AS n_tokens, round(lt, 6) AS target_loss, round(lb, 6) AS background_loss, round(lt - lb, 6) AS score
 FROM documents d LEFT JOIN per USING (doc_id)
 """
+
+#: The same over every word.
+ORACLE_WHOLE = ORACLE.replace("LIMIT 1023", "")

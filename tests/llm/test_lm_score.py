@@ -36,3 +36,35 @@ def test_edges(spark):
     assert sorted(r["n_tokens"] for r in got) == [0, 0, 2, 90000]
     assert all((r["score"] is None) == (r["n_tokens"] == 0) for r in got)
     assert lm.score(spark.createDataFrame([], SCHEMA), none).count() == 0
+
+
+def test_whole_against_sql(spark):
+    d = "/root/testdata/sf0.001"
+    con = duckdb.connect()
+    for t in ("documents", "labels"):
+        con.execute(f"create view {t} as select * from '{d}/{t}.parquet'")
+    want = sorted(con.execute(lm.ORACLE_WHOLE).fetchall())
+    assert lm.ORACLE_WHOLE != lm.ORACLE and want != sorted(con.execute(lm.ORACLE).fetchall())
+    docs, good = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet").where("quality = 1").select("doc_id")
+    for most in (lm._HOT, 50, 0):
+        got = sorted(tuple(r) for r in lm.score_whole(docs, good, most=most).collect())
+        assert len(got) == len(want) == 200
+        for a, b in zip(got, want):
+            assert a[:2] == b[:2] and np.allclose(a[2:], b[2:], atol=2e-6)
+
+
+def test_whole_tells_rare_words_apart(spark):
+    common = [(i, " ".join(f"w{k}" for k in range(1100)), "") for i in range(3)]
+    rows = [*common, (10, "w1 rareone raretwo", ""), (11, "w1 rarethree rarefour", ""), (12, "w1 rareone raretwo", "")]
+    docs, good = spark.createDataFrame(rows, SCHEMA), spark.createDataFrame([(10,)], "x long")
+    cut = {r["doc_id"]: r["score"] for r in lm.score(docs, good).collect()}
+    whole = {r["doc_id"]: r["score"] for r in lm.score_whole(docs, good).collect()}
+    assert cut[10] == cut[11] and whole[10] < whole[11] and whole[10] == whole[12]
+
+
+def test_whole_edges(spark):
+    none = spark.createDataFrame([], "x long")
+    got = lm.score_whole(spark.createDataFrame([(1, None, ""), (2, "", ""), (None, "a A", ""), (1, "b " * 90000, "")], SCHEMA), none).collect()
+    assert sorted(r["n_tokens"] for r in got) == [0, 0, 2, 90000]
+    assert all((r["score"] is None) == (r["n_tokens"] == 0) for r in got)
+    assert lm.score_whole(spark.createDataFrame([], SCHEMA), none).count() == 0
