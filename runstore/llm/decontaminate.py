@@ -13,9 +13,11 @@ text.  Documents are read once for every `block_chars` characters of benchmark
 text, so the automaton has a bound whatever the benchmark's size; documents are
 never shuffled or compared with each other.
 
-Null and empty documents match nothing.  Items that are null or have fewer than
-`least_words` words are skipped: so short a text is in clean documents by
-chance.  Repeated items give a row each.  One row per (document row, item) that
+Null and empty documents match nothing.  Items that are null or hold no letter
+or digit are skipped.  An item of fewer than `least_words` words and fewer than
+5 * `least_words` characters may not differ at all and must stand on word
+borders, since little remains of so short a text after edits; beside a character
+of a script without blanks no border is asked for.  Repeated items give a row each.  One row per (document row, item) that
 match: the place of least distance (leftmost on ties), and the number of places.
 """
 
@@ -31,6 +33,8 @@ from pyspark.sql import functions as F
 from runstore.llm import base
 
 _WORD = re.compile(r"[^\W_]+")
+#: Characters of scripts that put no blanks between words.
+_UNSPACED = re.compile("[\u0e00-\u109f\u1780-\u17ff\u2e80-\u9fff\uf900-\ufaff\U00020000-\U0003ffff]")
 BUDGET, LEAST_WORDS, BLOCK_CHARS = 0.08, 5, 8_000_000
 
 
@@ -64,14 +68,25 @@ def distance_in(pattern: str, text: str, most: int) -> tuple[int, int] | None:
     return best if best[0] <= most else None
 
 
+def is_short(item: str, least_words: int) -> bool:
+    """Whether a normalised item is only looked for as it stands."""
+    return item.count(" ") + 1 < least_words and len(item) < 5 * least_words
+
+
+def on_borders(text: str, start: int, end: int) -> bool:
+    """Whether no word runs across either end of text[start:end]."""
+    return all(k in (0, len(text)) or " " in text[k - 1 : k + 1] or _UNSPACED.search(text[k - 1 : k + 1]) for k in (start, end))
+
+
 class Matcher:
     """Finds a block of items in documents."""
 
-    def __init__(self, items: list[tuple[int | None, str]], budget: float):
+    def __init__(self, items: list[tuple[int | None, str]], budget: float, least_words: int = LEAST_WORDS):
         import ahocorasick
 
         self.items = items
-        self.errors = [int(budget * len(text)) for _, text in items]
+        self.short = [is_short(text, least_words) for _, text in items]
+        self.errors = [0 if short else int(budget * len(text)) for short, (_, text) in zip(self.short, items)]
         pieces: dict[str, list[tuple[int, int]]] = {}
         for i, (_, text) in enumerate(items):
             k = self.errors[i]
@@ -95,6 +110,8 @@ class Matcher:
         for i, at in starts.items():
             item, k = self.items[i][1], self.errors[i]
             at.sort()
+            if self.short[i]:
+                at = [a for a in at if on_borders(text, a, a + len(item))]
             best, places, j = None, 0, 0
             while j < len(at):  # candidates closer than 2k share a window
                 last = j
@@ -129,7 +146,7 @@ def raw_span(text: str, start: int, end: int) -> tuple[int, int]:
     return first or 0, last
 
 
-def _blocks(benchmark: DataFrame, item_col: str, text_col: str, least_words: int, block_chars: int) -> Iterator[list]:
+def _blocks(benchmark: DataFrame, item_col: str, text_col: str, block_chars: int) -> Iterator[list]:
     """Items (id, normalised text), in blocks whose size is counted before they reach the driver."""
     items = benchmark.select(F.col(item_col).cast("long").alias("i"), F.col(text_col).alias("t")).where("t is not null")
     total = items.agg(F.sum(F.length("t"))).first()[0] or 0
@@ -137,7 +154,7 @@ def _blocks(benchmark: DataFrame, item_col: str, text_col: str, least_words: int
     for b in range(n):
         part = items if n == 1 else items.where(F.pmod(F.xxhash64("i", "t"), F.lit(n)) == b)
         rows = sorted(((r["i"], normal(r["t"])) for r in part.collect()), key=lambda r: (r[0] is None, r[0] or 0, r[1]))
-        yield [r for r in rows if r[1].count(" ") + 1 >= least_words and r[1]]
+        yield [r for r in rows if r[1]]
 
 
 def find_items(docs: DataFrame, benchmark: DataFrame, budget: float = BUDGET, least_words: int = LEAST_WORDS, block_chars: int = BLOCK_CHARS, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
@@ -146,23 +163,23 @@ def find_items(docs: DataFrame, benchmark: DataFrame, budget: float = BUDGET, le
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("t")).where("t is not null")
     schema = "doc_id long, item_id long, distance int, span_start long, span_end long, places int"
     out = None
-    for number, items in enumerate(_blocks(benchmark, item_col, item_text_col, least_words, block_chars)):
+    for number, items in enumerate(_blocks(benchmark, item_col, item_text_col, block_chars)):
         if not items:
             continue
-        found = rows.mapInArrow(_search(items, budget, number), schema)
+        found = rows.mapInArrow(_search(items, budget, least_words, number), schema)
         out = found if out is None else out.union(found)
     return spark.createDataFrame([], schema) if out is None else out
 
 
-def _matcher(items: list, budget: float, number: int):
+def _matcher(items: list, budget: float, least_words: int, number: int):
     """A function that gives this worker's automaton for a block of items."""
-    key = ("matcher", number, len(items), hash(tuple(items)), budget)
+    key = ("matcher", number, len(items), hash(tuple(items)), budget, least_words)
 
-    return lambda: base.held(key, lambda: Matcher(items, budget))
+    return lambda: base.held(key, lambda: Matcher(items, budget, least_words))
 
 
-def _search(items: list, budget: float, number: int):
-    matcher = _matcher(items, budget, number)
+def _search(items: list, budget: float, least_words: int, number: int):
+    matcher = _matcher(items, budget, least_words, number)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         find = matcher().find
@@ -182,15 +199,15 @@ def _search(items: list, budget: float, number: int):
 def is_clean(docs: DataFrame, benchmark: DataFrame, out: str, budget: float = BUDGET, least_words: int = LEAST_WORDS, block_chars: int = BLOCK_CHARS, text_col: str = "text") -> DataFrame:
     """docs with a new boolean column that is false where any item matches; no shuffle, no join."""
     docs = docs.withColumn(out, F.lit(True))
-    for number, items in enumerate(_blocks(benchmark, "item_id", "text", least_words, block_chars)):
+    for number, items in enumerate(_blocks(benchmark, "item_id", "text", block_chars)):
         if items:
             rows = docs.select("*", F.col(f"`{text_col}`").alias("__text"))
-            docs = rows.mapInArrow(_flag(items, budget, number, docs.columns.index(out)), docs.schema)
+            docs = rows.mapInArrow(_flag(items, budget, least_words, number, docs.columns.index(out)), docs.schema)
     return docs
 
 
-def _flag(items: list, budget: float, number: int, at: int):
-    matcher = _matcher(items, budget, number)
+def _flag(items: list, budget: float, least_words: int, number: int, at: int):
+    matcher = _matcher(items, budget, least_words, number)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         find = matcher().find

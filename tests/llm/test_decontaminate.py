@@ -80,3 +80,12 @@ def test_empty(spark):
     assert dc.find_items(docs, none).count() == 0
     assert dc.find_items(docs.limit(0), docs.toDF("item_id", "text")).count() == 0
     assert [r["ok"] for r in dc.is_clean(docs, none, "ok").collect()] == [True]
+
+
+def test_short_items(spark):
+    items = [(1, "Prime number"), (2, "水は百度で沸騰する"), (3, "太陽は東から昇り西に沈むのは地球が自転しているからである、と先生は言った"), (4, "?!")]
+    docs = [(1, "A prime, number!"), (2, "a prime numbers"), (3, "subprime number"), (4, "prime numbr"), (5, "先生は水は百度で沸騰すると言った"), (6, "水は百度で沸かする"), (7, "昔、太陽は東から昇り西に沈むのは地球が公転しているからである、と先生は言った"), (8, "?!"), (9, "prime numbers, prime number")]
+    df, bench = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"], r["distance"], r["places"]) for r in dc.find_items(df, bench).collect()}
+    assert got == {(1, 1, 0, 1), (5, 2, 0, 1), (7, 3, 1, 1), (9, 1, 0, 1)}
+    assert {r["doc_id"] for r in dc.is_clean(df, bench, "ok").collect() if not r["ok"]} == {1, 5, 7, 9}
