@@ -49,6 +49,35 @@ def test_table(spark, tmp_path):
     assert sum(len(ts.unpack(open(f, "rb").read())[0]) for f in files) == at
 
 
+def test_select_of_many_and_its_space():
+    rng = np.random.default_rng(3)
+    for v in (np.sort(rng.integers(0, 1 << 33, 5000)), np.repeat([7, 1 << 20], 3000), np.arange(70000) // 1000 * 5000):
+        ef = ts.EliasFano.encode(v)
+        at = rng.integers(0, len(v), 4000)
+        assert (ef.select(at) == v[at]).all() and (ef.select(np.arange(len(v))) == ef.decode()).all()
+        assert ef.samples.nbytes * 8 <= 32 * (len(v) / ts.SAMPLE + 1)
+        assert not any(isinstance(x, np.ndarray) and x is not ef.low and x is not ef.high and x is not ef.samples for x in vars(ef).values())
+
+
+def test_documents_by_id(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(ts, "SEGMENT_DOCS", 7)
+    monkeypatch.setattr(ts, "SEGMENT_TOKENS", 50)
+    tok = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    rows = [(i * 3, "word " * (i % 40)) for i in range(100)] + [(None, "x"), (6, "again")]
+    ts.write_token_table(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), f"file://{tmp_path}/d")
+    got = sorted((r["doc_id"], list(r["ids"])) for r in ts.read_documents(spark, f"file://{tmp_path}/d", [6, 0, 297, 5, 150]).collect())
+    assert got == sorted((d, [*tok.encode(t, add_special_tokens=False).ids, 1]) for d, t in rows if d in (6, 0, 297, 150))
+    sizes = ts.read_token_table(spark, f"file://{tmp_path}/d").orderBy("start").collect()
+    assert all(a["start"] + a["n_tokens"] == b["start"] for a, b in zip(sizes, sizes[1:])) and len(sizes) == len(rows)
+
+
+def test_long_texts_and_words():
+    tok = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    enc = ts.WordEncoder("word_bpe_49k.json", True)
+    for text in ("ab" * 5000, "the cat\n" * 20000, "x" * 65 + "! " + "é" * 70):
+        assert np.frombuffer(enc.encode(text), "<u4").tolist() == tok.encode(text, add_special_tokens=False).ids
+
+
 def test_empty_table(spark, tmp_path):
     ts.write_token_table(spark.createDataFrame([], "doc_id long, text string"), f"file://{tmp_path}/e")
     assert ts.read_token_table(spark, f"file://{tmp_path}/e").count() == 0
