@@ -10,11 +10,14 @@ from collections.abc import Callable, Iterable, Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-#: Rows a broadcast may hold once counted; beyond it joins shuffle.
-BROADCAST_ROWS = 2_000_000
+#: Bytes a broadcast may hold once counted; beyond it joins shuffle.
+BROADCAST_BYTES = 64 << 20
+#: Rows of one key that a join leaves to one task; keys with more are broadcast, and few by their number.
+HUB, HUBS = 64, 50_000
 
 
 def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:
@@ -48,10 +51,40 @@ def stored(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def checked_broadcast(df: DataFrame, rows: int | None = None, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """df with a broadcast hint if its counted rows are within the limit, else df as it is."""
-    n = df.count() if rows is None else rows
-    return F.broadcast(df) if n <= limit else df
+def checked_broadcast(df: DataFrame, rows: int | None = None, limit: int | None = None) -> DataFrame:
+    """df with a broadcast hint if its bytes, counted first, are within the limit, else df as it is.
+
+    rows: a count known already, for frames whose columns are all of fixed width.
+    """
+    weight: Column = F.lit(16)
+    for f in df.schema.fields:
+        c = F.col(f"`{f.name}`")
+        match f.dataType:
+            case T.StringType() | T.BinaryType():
+                weight = weight + F.coalesce(F.octet_length(c), F.lit(0)) + 16
+            case T.ArrayType() | T.MapType():
+                weight = weight + F.coalesce(F.size(c), F.lit(0)) * 48 + 16
+            case _:
+                weight = weight + 8
+    if rows is None or any(isinstance(f.dataType, (T.StringType, T.BinaryType, T.ArrayType, T.MapType)) for f in df.schema.fields):
+        size = df.agg(F.sum(weight)).first()[0] or 0
+    else:
+        size = rows * (16 + 8 * len(df.columns))
+    return F.broadcast(df) if size <= (BROADCAST_BYTES if limit is None else limit) else df
+
+
+def join_by_hubs(rows: DataFrame, table: DataFrame, key: str, count: str, total: int) -> DataFrame:
+    """Inner join of rows with a stored table of one row a key, whose column `count` says how many rows have that key.
+
+    Keys of many rows go by broadcast: their number is bounded by `HUBS` (or by the
+    rows, over `HUB`) whatever the data, so no key's rows meet in one task.
+    """
+    most = max(HUB, total // HUBS)
+    hot = F.broadcast(table.where(F.col(count) > most).drop(count))
+    seldom = table.where(F.col(count) <= most).drop(count)
+    found = rows.join(hot, key)
+    rest = rows.join(hot.select(key), key, "left_anti")
+    return found.unionByName(rest.join(seldom, key))
 
 
 def slices(texts: pa.Array, most: int) -> Iterator[tuple[int, int]]:
@@ -131,21 +164,21 @@ def components(edges: DataFrame, name: str = "components", max_rounds: int = 60)
     Alternates two contractions (every node's larger neighbours, then its
     smaller ones, are hung on its least neighbour) until nothing moves; each
     round is written to scratch space.  The rounds grow with the logarithm of
-    a component's size.  A hub's neighbours are never gathered: a minimum is
-    aggregated and joined back.
+    a component's size.  A hub's neighbours are never gathered: minima are
+    aggregated in the tasks first, and those of hubs are joined back by broadcast.
     """
-    spark = edges.sparkSession
     current = stored(
         edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), name
     )
     sign = None
-    for _ in range(max_rounds):
+    n = current.count()
+    for _ in range(max_rounds if n else 0):
         both = current.union(current.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-        large = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        large = stored(large, name)
-        down = large.groupBy("a").agg(F.min("b").alias("m"))
-        moved = large.join(down, "a")
+        least = stored(both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), F.count("*").alias("n")), name)
+        large = join_by_hubs(both, least, "a", "n", 2 * n)
+        large = stored(large.where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct(), name)
+        down = stored(large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")), name)
+        moved = join_by_hubs(large, down, "a", "n", n)
         small = moved.select(F.col("b").alias("a"), F.col("m").alias("b")).union(down.select("a", F.col("m").alias("b")))
         current = stored(small.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), name)
         now = current.agg(
@@ -155,9 +188,10 @@ def components(edges: DataFrame, name: str = "components", max_rounds: int = 60)
         ).first()
         if sign == now and now["n"] == now["d"]:
             break
-        sign = now
+        sign, n = now, now["n"]
     else:
-        raise RuntimeError(f"components did not settle in {max_rounds} rounds")
+        if n:
+            raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     roots = current.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct()
     return current.select(F.col("a").alias("node"), F.col("b").alias("component")).union(roots)
 

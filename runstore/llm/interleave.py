@@ -60,7 +60,7 @@ def interleave(docs: DataFrame, shards: int, seed: int = 7, id_col: str = "doc_i
     sizes = rows.groupBy("source").agg(F.count("*").alias("n_source"))
     total = sizes.agg(F.sum("n_source")).first()[0] or 0
     stretch_rows = max(STRETCH_ROWS, math.isqrt(total))
-    s = F.broadcast(sizes.alias("s")) if sizes.count() <= base.BROADCAST_ROWS else sizes.alias("s")
+    s = base.checked_broadcast(sizes).alias("s")
     rows = rows.alias("r").join(s, F.col("r.source").eqNullSafe(F.col("s.source"))).select("r.*", "n_source")
     unit = F.conv(F.substring("shuffled", 1, 12), 16, 10).cast("double") / F.lit(float(16**12))
     rows = rows.withColumn("stretch", F.floor(unit * F.ceil(F.col("n_source") / F.lit(stretch_rows))).cast("long"))

@@ -1,28 +1,37 @@
 """Operator 4: near-duplicate documents by min-max hashing.
 
 A document's set holds its distinct shingles (five words in a row, lower-cased
-in ASCII; a shorter text is one shingle), as 64-bit hashes.  Each random
-permutation of the hashes gives two signature values, the least and the
+in ASCII; a shorter text is one shingle), as 64-bit hashes: within the two sets
+of one comparison a clash is out of the question at any corpus size.  Each
+random permutation of the hashes gives two signature values, the least and the
 greatest member under it, so half the hash evaluations of plain MinHash make a
 signature whose agreement estimates the Jaccard similarity without bias and
 with lower variance.  Signatures are cut into bands; documents that share a
 band are candidates (at similarity 0.85 the 24 bands of 6 values miss a pair
-with probability about 1e-5), and links are confirmed on full sets.
-
-Equal sets are collapsed first, by fingerprint.  Candidates are not listed as
-pairs: each band's members are hung on its least one, which yields *clusters*
-that contain every candidate pair; within a cluster all pairs are compared
-exactly, sets being sent once.  A large cluster is cut into blocks by size
-class (linked sets differ in size by the threshold at most, so only equal or
-adjacent classes meet) and hash, and each pair of blocks is a task of its own:
-no task holds more than two blocks, whatever the cluster, and only a spanning
-forest of the links found leaves a task.  Work in a cluster is quadratic in the
-worst case; nothing is capped.
+with probability about 1e-5; `bands_for` gives the number for other
+thresholds), and links are confirmed on full sets.  `recall_of` measures what
+the bands miss: the documents whose id is divisible by 100 against all.
+
+Equal sets are collapsed first, by a fingerprint of 128 bits and their size.
+Candidates are not listed as pairs.  In each band one member (the least; in
+later rounds one of the smallest group) is compared with all members that are
+not connected with it yet, and is then done.  Links found connect members, and a
+band is closed when its members are connected or done: a group of m near copies
+costs m comparisons, in tasks of bounded size.  What is still open after
+`ROUNDS` rounds (bands of many members that are alike and yet not linked) is
+compared in full: open bands are joined into clusters, a cluster is cut into
+blocks by size class (linked sets differ in size by the threshold at most, so
+only equal or adjacent classes meet) and hash, and each pair of blocks is a task
+of its own.  Work in such a cluster is quadratic in the worst case; nothing is
+capped.
 
 A null or empty text, or one without words, has an empty set and links with
-nothing.  Rows with one id count as one document.  Rows with a null id are not
-linked: their component and kept are null.  Other columns are not read by
-`near_duplicates`; `deduplicate` keeps them.
+nothing.  A very long text is one set like any other: tasks hold two blocks of
+sets at most and single sets of what is compared with one member.  Rows with
+one id count as one document.  Rows with a null id are not linked: their
+component and kept are null.  An empty table gives no rows.  Other columns,
+whatever their names, are not read by `near_duplicates`; `deduplicate` keeps
+them.
 """
 
 from __future__ import annotations
@@ -41,6 +50,8 @@ from runstore.llm import base
 SHINGLE, BANDS, BAND_ROWS, PERCENT = 5, 24, 6, 85
 #: Members of a block; a cluster of at most this many is one task.
 BLOCK = 128
+#: Members that one task compares with a band's chosen one, and rounds of that.
+STAR, ROUNDS = 512, 3
 _CHUNK = 1 << 15
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 
@@ -166,8 +177,66 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, hasher: MinMaxHasher) ->
     return rows.mapInArrow(run, "doc_id long, n_shingles long, f1 long, f2 long, bands array<long>")
 
 
+def bands_for(percent: int, rows: int = BAND_ROWS, miss: float = 1e-5) -> int:
+    """Bands that miss a pair at the threshold with at most this probability (an even number)."""
+    return 2 * math.ceil(math.log(miss) / math.log1p(-((percent / 100) ** rows)) / 2)
+
+
+def _set_rows(docs: DataFrame, tasks: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """Rows (task, side, node, s): the sets that tasks (node, task, side) ask for, each task's together, side 0 first."""
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, own = None, b""
+        for batch in batches:
+            out = []
+            for node, text in zip(batch.column(0).to_pylist(), batch.column(3)):
+                if node != last:  # a node's tasks follow each other
+                    last, own = node, shingles(text.as_py()).tobytes()
+                out.append(own)
+            yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), batch.column(0), pa.array(out, pa.binary())], names=["task", "side", "node", "s"])
+
+    keyed = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("t"))
+    keyed = keyed.join(base.checked_broadcast(tasks), "node").select("node", "task", "side", "t")
+    keyed = keyed.mapInArrow(sets, "task long, side int, node long, s binary")
+    return keyed.repartition("task").sortWithinPartitions("task", "side", "node")
+
+
+def _by_star(docs: DataFrame, pairs: DataFrame, id_col: str, text_col: str, percent: int) -> DataFrame:
+    """Those of the pairs (a: a chosen member, b: another) that are links."""
+    stars = base.stored(pairs.groupBy("a").agg(F.ceil(F.count("*") / STAR).cast("int").alias("parts"), F.count("*").alias("n")), "near_dup_stars")
+    total = stars.agg(F.sum("n")).first()[0] or 0
+    part = F.pmod(F.xxhash64("b"), F.col("parts")).cast("int")
+    members = base.join_by_hubs(pairs, stars, "a", "n", total).select(F.col("b").alias("node"), F.xxhash64("a", part).alias("task"), F.lit(1).alias("side"))
+    centres = stars.select("a", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part")).select(F.col("a").alias("node"), F.xxhash64("a", "part").alias("task"), F.lit(0).alias("side"))
+    rows = _set_rows(docs, base.stored(members.union(centres), "near_dup_tasks"), id_col, text_col)
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        task = centre = own = None
+        for batch in batches:
+            a, b = [], []
+            for t, side, node, s in zip(*(c.to_pylist() for c in batch.columns[:3]), batch.column(3)):
+                values = np.frombuffer(s.as_buffer(), np.uint64)
+                if side == 0:
+                    task, centre, own = t, node, np.array(values)
+                elif t == task and node != centre and _near(own, values, percent):
+                    a.append(centre)
+                    b.append(node)
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    return rows.mapInArrow(compare, "a long, b long")
+
+
+def _near(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    """Whether two sorted sets are linked."""
+    if not linked(len(x), len(y), min(len(x), len(y)), percent):
+        return False
+    at = np.searchsorted(x, y)
+    at[at == len(x)] = 0
+    return linked(len(x), len(y), int((x[at] == y).sum()), percent)
+
+
 def _links(docs: DataFrame, clusters: DataFrame, id_col: str, text_col: str, percent: int) -> DataFrame:
-    """Links (a, b) confirmed on full sets, a spanning forest of each task's."""
+    """Links (a, b) among all members of each cluster, confirmed on full sets, a spanning forest of each task's."""
     size = F.floor(F.log(F.col("n_shingles").cast("double")) / F.lit(-math.log(percent / 100))).cast("int")
     members = clusters.withColumn("class", size)
     per = base.stored(members.groupBy("cluster", "class").agg(F.count("*").alias("n")), "near_dup_sizes")
@@ -175,8 +244,7 @@ def _links(docs: DataFrame, clusters: DataFrame, id_col: str, text_col: str, per
     # blocks of each class of each large cluster, and of the classes beside it
     large = per.join(total, "cluster").where(F.col("m") > BLOCK).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
     beside = large.groupBy("cluster").agg(F.map_from_entries(F.collect_list(F.struct("class", "blocks"))).alias("plan"))
-    n_members = members.count()
-    members = members.join(beside, "cluster", "left")
+    members = members.join(base.checked_broadcast(base.stored(beside, "near_dup_plans")), "cluster", "left")
     own = F.pmod(F.xxhash64("node"), F.coalesce(F.col("plan")[F.col("class")], F.lit(1))).cast("int")
     members = members.withColumn("block", own)
     same = F.transform(
@@ -194,21 +262,9 @@ def _links(docs: DataFrame, clusters: DataFrame, id_col: str, text_col: str, per
     whole = F.array(F.struct(F.lit(0).alias("c1"), F.lit(0).alias("b1"), F.lit(0).alias("c2"), F.lit(0).alias("b2"), F.lit(0).alias("side")))
     none = F.slice(whole, 1, 0)
     tasks = F.when(F.col("plan").isNull(), whole).otherwise(F.concat(same, F.coalesce(up, none), F.coalesce(down, none)))
-    members = members.select("node", "cluster", tasks.alias("tasks"))
-    keyed = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("t"))
-    keyed = keyed.join(base.checked_broadcast(members, n_members), "node")
-
-    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            s = pa.array([shingles(t.as_py()).tobytes() for t in batch.column(3)], pa.binary())
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], s], names=["node", "cluster", "tasks", "s"])
-
-    task_type = "array<struct<c1:int,b1:int,c2:int,b2:int,side:int>>"
-    keyed = keyed.select("node", "cluster", F.col("tasks").cast(task_type).alias("tasks"), "t")
-    keyed = keyed.mapInArrow(sets, f"node long, cluster long, tasks {task_type}, s binary")
-    keyed = keyed.select("node", "cluster", "s", F.explode("tasks").alias("k"))
-    keyed = keyed.select(F.xxhash64("cluster", "k.c1", "k.b1", "k.c2", "k.b2").alias("task"), "node", F.col("k.side").alias("side"), "s")
-    keyed = keyed.repartition("task").sortWithinPartitions("task")
+    tasks = members.select("node", "cluster", F.explode(tasks).alias("k"))
+    tasks = tasks.select("node", F.xxhash64("cluster", "k.c1", "k.b1", "k.c2", "k.b2").alias("task"), F.col("k.side").cast("int").alias("side"))
+    keyed = _set_rows(docs, base.stored(tasks, "near_dup_tasks"), id_col, text_col)
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def done() -> pa.RecordBatch:
@@ -217,7 +273,7 @@ def _links(docs: DataFrame, clusters: DataFrame, id_col: str, text_col: str, per
 
         task, nodes, sides, held = None, [], [], []
         for batch in batches:
-            for t, node, side, s in zip(*(c.to_pylist() for c in batch.columns[:3]), batch.column(3)):
+            for t, side, node, s in zip(*(c.to_pylist() for c in batch.columns[:3]), batch.column(3)):
                 if t != task:
                     if len(nodes) > 1:
                         yield done()
@@ -231,20 +287,68 @@ def _links(docs: DataFrame, clusters: DataFrame, id_col: str, text_col: str, per
     return keyed.mapInArrow(compare, "a long, b long")
 
 
+def _shared(reps: DataFrame) -> DataFrame:
+    """Rows (band, node) of the bands that several sets have."""
+    spread = reps.select("node", F.explode("bands").alias("band"))
+    counts = spread.groupBy("band").agg(F.count("*").alias("n")).where("n > 1")
+    counts = base.stored(counts, "near_dup_bands")
+    return base.stored(base.join_by_hubs(spread, counts, "band", "n", counts.agg(F.sum("n")).first()[0] or 0), "near_dup_active")
+
+
+def _open(active: DataFrame, found: DataFrame | None) -> DataFrame:
+    """Rows (band, node, group) of bands whose members are not all connected yet."""
+    if found is None:
+        return active.withColumn("group", F.col("node"))
+    label = base.checked_broadcast(base.stored(found, "near_dup_labels"))
+    rows = active.join(label, "node", "left").select("band", "node", F.coalesce("component", "node").alias("group"))
+    rows = base.stored(rows, "near_dup_rows")
+    several = rows.groupBy("band").agg(F.min("group").alias("x"), F.max("group").alias("y"), F.count("*").alias("n")).where("x < y")
+    several = base.stored(several.select("band", "n"), "near_dup_open")
+    return base.stored(base.join_by_hubs(rows, several, "band", "n", several.agg(F.sum("n")).first()[0] or 0), "near_dup_rows")
+
+
+def _connect(docs: DataFrame, reps: DataFrame, id_col: str, text_col: str, percent: int) -> DataFrame:
+    """Rows (node, component) of the sets linked with others."""
+    active, links, found = _shared(reps), None, None
+    for _ in range(ROUNDS):
+        rows = _open(active, found)
+        groups = rows.groupBy("band", "group").agg(F.count("*").alias("n"), F.min("node").alias("a"))
+        chosen = groups.groupBy("band").agg(F.min_by(F.struct("a", "group"), F.struct("n", "a")).alias("x"), F.sum("n").alias("n"))
+        chosen = base.stored(chosen.select("band", F.col("x.a").alias("a"), F.col("x.group").alias("own"), "n"), "near_dup_chosen")
+        total = chosen.agg(F.sum("n")).first()[0]
+        if not total:
+            return base.components(links if links is not None else _none(docs), "near_dup_components")
+        met = base.stored(base.join_by_hubs(rows, chosen, "band", "n", total), "near_dup_met")
+        pairs = met.where("group <> own").select(F.least("a", "node").alias("x"), F.greatest("a", "node").alias("y"), "a", F.col("node").alias("b"))
+        pairs = base.stored(pairs.groupBy("x", "y").agg(F.min_by("b", "a").alias("b"), F.min("a").alias("a")).select("a", "b"), "near_dup_pairs")
+        more = base.stored(_by_star(docs, pairs, id_col, text_col, percent), "near_dup_links")
+        links = more if links is None else links.union(more)
+        found = base.stored(base.components(links, "near_dup_components"), "near_dup_found")
+        active = base.stored(met.where("node <> a").select("band", "node"), "near_dup_active")
+    rows = _open(active, found)
+    ends = rows.groupBy("band").agg(F.min("node").alias("a"), F.count("*").alias("n"))
+    ends = base.stored(ends, "near_dup_ends")
+    total = ends.agg(F.sum("n")).first()[0]
+    if not total:
+        return found
+    edges = base.join_by_hubs(rows.select("band", "node"), ends, "band", "n", total).where("node <> a").select("a", F.col("node").alias("b"))
+    clusters = base.components(edges, "near_dup_clusters").withColumnRenamed("component", "cluster")
+    clusters = base.stored(clusters.join(reps.select("node", "n_shingles"), "node"), "near_dup_members")
+    rest = base.stored(_links(docs, clusters, id_col, text_col, percent), "near_dup_links")
+    return base.components(found.select(F.col("node").alias("a"), F.col("component").alias("b")).union(rest), "near_dup_components")
+
+
+def _none(docs: DataFrame) -> DataFrame:
+    return docs.sparkSession.createDataFrame([], "a long, b long")
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, bands: int = BANDS, rows: int = BAND_ROWS) -> DataFrame:
     """Rows (doc_id, n_shingles, component_id, kept), one per row of docs."""
     sketches = base.stored(sketch(docs, id_col, text_col, MinMaxHasher(bands, rows)), "near_dup_sketch")
     known = sketches.where("doc_id is not null and n_shingles > 0")
     reps = known.groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("node"), F.count("*").alias("copies"), F.first("bands").alias("bands"))
     reps = base.stored(reps, "near_dup_reps")
-    spread = reps.select("node", F.explode("bands").alias("band"))
-    shared = spread.groupBy("band").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a < z").select("band", "a")
-    shared = base.stored(shared, "near_dup_bands")
-    edges = spread.join(shared, "band").where("node <> a").select("a", F.col("node").alias("b"))
-    clusters = base.components(edges, "near_dup_clusters").withColumnRenamed("component", "cluster")
-    clusters = base.stored(clusters.join(reps.select("node", "n_shingles"), "node"), "near_dup_members")
-    links = base.stored(_links(docs, clusters, id_col, text_col, percent), "near_dup_links")
-    found = base.components(links, "near_dup_components")
+    found = _connect(docs, reps, id_col, text_col, percent)
     placed = reps.join(found, "node", "left").select("f1", "f2", "n_shingles", "copies", "node", F.coalesce("component", "node").alias("component"))
     placed = base.stored(placed.where("copies > 1 or component <> node").select("f1", "f2", "n_shingles", "component"), "near_dup_placed")
     out = sketches.select("doc_id", "n_shingles", "f1", "f2").join(placed, ["f1", "f2", "n_shingles"], "left")
@@ -255,10 +359,33 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT) -> DataFrame:
     """docs without those that a smaller id stands for; of rows with one id all stay. Rows with null ids stay."""
-    gone = near_duplicates(docs, id_col, text_col, percent).where("not kept").select(F.col("doc_id").alias("__gone"))
+    gone = near_duplicates(docs, id_col, text_col, percent, max(BANDS, bands_for(percent))).where("not kept").select(F.col("doc_id").alias("__gone"))
     gone = base.stored(gone.distinct(), "near_dup_gone")
     return docs.join(base.checked_broadcast(gone), F.col(f"`{id_col}`").cast("long") == F.col("__gone"), "left_anti")
 
 
+def recall_of(docs: DataFrame, found: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, every: int = 100) -> tuple[int, int]:
+    """(links of the documents whose id is divisible by `every` with any other, those of them that `found` has in one component).
+
+    Exact: all documents that share a shingle with such a document are counted
+    shingle by shingle, without bands.
+    """
+
+    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for node, text in zip(batch.column(0).to_pylist(), batch.column(1)):
+                s = shingles(text.as_py()).view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), node)), pa.array(s), pa.array(np.full(len(s), len(s)))], names=["node", "s", "n"])
+
+    rows = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("t"))
+    sets = rows.mapInArrow(spread, "node long, s long, n long")
+    asked = base.stored(sets.where(F.col("node") % every == 0), "near_dup_asked")
+    both = asked.toDF("a", "s", "na").join(sets.toDF("b", "s", "nb"), "s").where("a <> b").groupBy("a", "b", "na", "nb").agg(F.count("*").alias("x"))
+    true = both.where(100 * F.col("x") >= percent * (F.col("na") + F.col("nb") - F.col("x"))).select("a", "b")
+    place = found.select("doc_id", "component_id").distinct()
+    got = true.join(place.toDF("a", "ca"), "a").join(place.toDF("b", "cb"), "b").agg(F.count("*").alias("n"), F.count_if(F.col("ca") == F.col("cb")).alias("hit")).first()
+    return got["n"], got["hit"]
+
+
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(base.table(spark, sf_dir, "documents"))
