@@ -299,8 +299,7 @@ def _open(active: DataFrame, found: DataFrame | None) -> DataFrame:
     """Rows (band, node, group) of bands whose members are not all connected yet."""
     if found is None:
         return active.withColumn("group", F.col("node"))
-    label = base.checked_broadcast(base.stored(found, "near_dup_labels"))
-    rows = active.join(label, "node", "left").select("band", "node", F.coalesce("component", "node").alias("group"))
+    rows = active.join(base.checked_broadcast(found), "node", "left").select("band", "node", F.coalesce("component", "node").alias("group"))
     rows = base.stored(rows, "near_dup_rows")
     several = rows.groupBy("band").agg(F.min("group").alias("x"), F.max("group").alias("y"), F.count("*").alias("n")).where("x < y")
     several = base.stored(several.select("band", "n"), "near_dup_open")
@@ -317,7 +316,7 @@ def _connect(docs: DataFrame, reps: DataFrame, id_col: str, text_col: str, perce
         chosen = base.stored(chosen.select("band", F.col("x.a").alias("a"), F.col("x.group").alias("own"), "n"), "near_dup_chosen")
         total = chosen.agg(F.sum("n")).first()[0]
         if not total:
-            return base.components(links if links is not None else _none(docs), "near_dup_components")
+            return found if found is not None else _none(docs)
         met = base.stored(base.join_by_hubs(rows, chosen, "band", "n", total), "near_dup_met")
         pairs = met.where("group <> own").select(F.least("a", "node").alias("x"), F.greatest("a", "node").alias("y"), "a", F.col("node").alias("b"))
         pairs = base.stored(pairs.groupBy("x", "y").agg(F.min_by("b", "a").alias("b"), F.min("a").alias("a")).select("a", "b"), "near_dup_pairs")
@@ -339,7 +338,7 @@ def _connect(docs: DataFrame, reps: DataFrame, id_col: str, text_col: str, perce
 
 
 def _none(docs: DataFrame) -> DataFrame:
-    return docs.sparkSession.createDataFrame([], "a long, b long")
+    return docs.sparkSession.createDataFrame([], "node long, component long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, bands: int = BANDS, rows: int = BAND_ROWS) -> DataFrame:

@@ -65,6 +65,60 @@ def test_documents(spark):
     assert nd.deduplicate(docs).count() == len({c for _, _, c in brute(rows)})
 
 
+def test_other_thresholds(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    rows = [(r["doc_id"], r["text"]) for r in docs.collect()]
+    got = nd.near_duplicates(docs, percent=80, bands=nd.bands_for(80))
+    assert {(r["doc_id"], r["n_shingles"], r["component_id"]) for r in got.collect()} == brute(rows, 80)
+    assert nd.bands_for(85) <= nd.BANDS < nd.bands_for(80) and 1 - (1 - 0.8**nd.BAND_ROWS) ** nd.bands_for(80) >= 1 - 1e-5
+
+
+def test_recall(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    for every in (1, 100):
+        n, hit = nd.recall_of(docs, nd.near_duplicates(docs), every=every)
+        assert hit == n and (every > 1 or n > 0)
+
+
+def test_open_bands(spark, monkeypatch):
+    """Documents that share a band and are not all alike go through every round and the full comparison."""
+    rnd = random.Random(3)
+    base_text = [f"w{k}" for k in range(60)]
+    rows = []
+    for k in range(40):
+        text = list(base_text)
+        text[k % 5 * 12] = f"x{rnd.randrange(4)}"
+        text[-1] = f"y{k % 3}"
+        rows.append((k, " ".join(text)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for rounds in (0, 1):
+        monkeypatch.setattr(nd, "ROUNDS", rounds)
+        monkeypatch.setattr(nd, "STAR", 7)
+        monkeypatch.setattr(nd, "BLOCK", 5)
+        got = nd.near_duplicates(df, bands=48, rows=2)
+        assert {(r["doc_id"], r["n_shingles"], r["component_id"]) for r in got.collect()} == brute(rows)
+
+
+def test_many_near_copies_are_compared_with_one(spark):
+    """A group of m near copies costs m comparisons, not m * m."""
+    text = [f"w{k}" for k in range(200)]
+    rows = [(k, " ".join([*text, f"v{k}"])) for k in range(3000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    sent = []
+    ask = nd._set_rows
+
+    def count(docs, tasks, id_col, text_col):
+        sent.append(tasks.count())
+        return ask(docs, tasks, id_col, text_col)
+
+    nd._set_rows = count
+    try:
+        got = nd.near_duplicates(docs).agg({"component_id": "max"}).first()[0]
+    finally:
+        nd._set_rows = ask
+    assert got == 0 and sum(sent) < 2 * len(rows)
+
+
 def test_edges(spark):
     schema = "doc_id long, text string"
     assert nd.near_duplicates(spark.createDataFrame([], schema)).count() == 0

@@ -47,3 +47,34 @@ def test_against_brute_force(spark):
 
 def test_empty(spark):
     assert vd.near_duplicate_vectors(spark.createDataFrame([], "vec_id long, embedding array<float>, label int")).count() == 0
+
+
+def test_at_the_threshold(spark):
+    """Cosines a billionth above and below the threshold."""
+    rows = []
+    for g, c in enumerate((0.98 - 1e-9, 0.98 - 5e-10, 0.98 + 5e-10, 0.98 + 1e-9)):
+        angle = 0.3 + 1.3 * g
+        for k, turn in enumerate((angle, angle + np.arccos(c))):
+            rows.append((10 * g + k, [float(np.cos(turn)), float(np.sin(turn))], g))
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in vd.near_duplicate_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")).collect()}
+    assert [got[10 * g] for g in range(4)] == [(0, 0), (0, 10), (1, 20), (1, 30)]
+
+
+def test_crowded_and_exhaustive(spark):
+    """A group far over `most` is counted, not listed; an audit that is never content ends in the comparison of all."""
+    rng = np.random.default_rng(9)
+    centre = rng.normal(size=16)
+    rows = [(k, (centre + rng.normal(size=16) * 0.05).tolist(), 1) for k in range(120)] + [(200 + k, rng.normal(size=16).tolist(), 1) for k in range(30)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    want = brute([(i, v, l) for i, v, l in rows])
+    for options in ({"k": 4, "most": 8}, {"k": 4, "most": 8, "recall": 2.0, "attempts": 1}):
+        got = vd.near_duplicate_vectors(df, **options).collect()
+        assert sorted([(r["vec_id"], r["n_links"], r["component_id"]) for r in got], key=str) == want
+        assert {r["recall"] for r in got} == {1.0}
+
+
+def test_clashing_columns_and_repeats(spark):
+    rows = [(1, [1.0, 0.0], 0, "x", 9, 9), (1, [0.0, 1.0], 0, "x", 9, 9), (2, [0.0, 1.0], 0, "x", 9, 9), (3, [1.0, 0.001], 0, "x", 9, 9), (4, None, 0, None, None, None)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int, node string, part int, kept int")
+    got = sorted((r["vec_id"], r["n_links"], r["component_id"], r["kept"]) for r in vd.near_duplicate_vectors(df).collect())
+    assert got == [(1, 1, 1, True), (1, 1, 1, True), (2, 1, 1, False), (3, 1, 1, False), (4, 0, 4, True)]
