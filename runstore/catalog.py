@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import json
 import uuid
 from collections.abc import Callable
@@ -28,22 +29,106 @@ SCHEMAS = {
 }
 
 
+_scratch: list[tuple[SparkSession, str]] = []
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share: the session's `spark.checkpoint.dir`, else the context's checkpoint folder.
+
+    A local one is taken only where all runs on one machine.
+    """
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        held = spark.sparkContext._jsc.sc().getCheckpointDir()
+        root = held.get() if held.isDefined() else None
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        root = "file:///tmp/checkpoints/runstore"
+    return root.rstrip("/")
+
+
+def scratch_folder(spark: SparkSession, name: str) -> str:
+    """A new folder below the shared one; it goes when the program ends, or with `clean`."""
+    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    if not _scratch:
+        atexit.register(clean)
+    _scratch.append((spark, path))
+    return path
+
+
+def file_system(spark: SparkSession, path: str):
+    """Spark's own view of a path: (file system, path)."""
+    jvm = spark.sparkContext._jvm
+    at = jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), at
+
+
+def clean() -> None:
+    """Delete all scratch folders of this program; frames that read them end with it."""
+    while _scratch:
+        spark, path = _scratch.pop()
+        try:
+            fs, at = file_system(spark, path)
+            fs.delete(at, True)
+        except Exception:  # the session's Java side is gone: nothing can be deleted any more
+            _scratch.clear()
+
+
+def stored_bytes(spark: SparkSession, path: str) -> int:
+    """Bytes of the files below a path."""
+    fs, at = file_system(spark, path)
+    return fs.getContentSummary(at).getLength()
+
+
 class Catalog:
     """One data folder in one session."""
 
     def __init__(self, spark: SparkSession, sf_dir: str):
         self.spark, self.sf_dir, self._made = spark, sf_dir, {}
-        root = spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/runstore"
-        self.root = f"{root.rstrip('/')}/catalog-{uuid.uuid4().hex}"
+        self.root = scratch_folder(spark, "catalog")
+        #: Number of changes of each table that were made through `maintain` (plans/maintain.py).
+        self.versions: dict[str, int] = {}
+        self._tables: dict[str, DataFrame] = {}
 
     def table(self, name: str) -> DataFrame:
+        if name in self._tables:
+            return self._tables[name]
         return self.spark.read.schema(SCHEMAS[name]).parquet(f"{self.sf_dir}/{name}.parquet")
 
+    def replace(self, name: str, rows: DataFrame) -> None:
+        """Let a table be these (stored) rows from now on; what was made of the old ones is made anew when asked for."""
+        self._tables[name] = rows
+        self.versions[name] = self.versions.get(name, 0) + 1
+
+    def signature(self, tables: tuple[str, ...]) -> tuple:
+        """What changes when one of the tables does: its number of replacements, its files' lengths and times."""
+        out = []
+        for name in tables:
+            files = ()
+            if name in SCHEMAS and name not in self._tables:
+                fs, at = file_system(self.spark, f"{self.sf_dir}/{name}.parquet")
+                files = tuple(sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in fs.listStatus(at))) if fs.exists(at) else ()
+            out.append((name, self.versions.get(name, 0), files))
+        return tuple(out)
+
     def made(self, key: Any, build: Callable[[], Any]) -> Any:
-        """What build gives, made once per data folder and session."""
-        if key not in self._made:
-            self._made[key] = build()
-        return self._made[key]
+        """What build gives, made once as long as the tables it is made of do not change.
+
+        Tables are known for keys that hold their names, a projection, a query or a view definition.
+        """
+        now = self.signature(tuple(t for x in key for t in ((x.base, *[j.table for j in x.joins]) if hasattr(x, "joins") else (x,) if x in SCHEMAS else ()))) if isinstance(key, tuple) else ()
+        if key not in self._made or self._made[key][0] != now:
+            self._made[key] = (now, build())
+        return self._made[key][1]
+
+    def keep(self, key: Any, value: Any, of: Any) -> None:
+        """Put a value for a key that was brought up to date by other means than building it."""
+        self._made[key] = (self.signature((of.base, *[j.table for j in of.joins])), value)
+
+    def count(self, name: str) -> int:
+        """Rows of a table, counted once."""
+        return self.made(("count", name), lambda: self.table(name).count())
 
     def path(self, name: str) -> str:
         """A new place below this catalog's folder in shared scratch space."""
@@ -58,8 +143,8 @@ class Catalog:
         """Read csv, json, orc or parquet with a stated schema."""
         return self.spark.read.schema(schema).options(**options).format(fmt).load(path)
 
-    def save(self, df: DataFrame, path: str, fmt: str, **options: Any) -> None:
-        df.write.mode("overwrite").options(**options).format(fmt).save(path)
+    def save(self, df: DataFrame, path: str, fmt: str, partition_by: tuple[str, ...] = (), **options: Any) -> None:
+        df.write.mode("overwrite").options(**options).partitionBy(*partition_by).format(fmt).save(path)
 
     def save_manifest(self, name: str, rows: list[dict]) -> str:
         """Write a projection's manifest beside its run tables, as JSON lines."""

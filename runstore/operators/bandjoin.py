@@ -15,9 +15,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from runstore.sources import layout
+
 #: Outer runs that may be broadcast, by count.
 BROADCAST_RUNS = 1_000_000
 BLOCK = 1 << 12
+_STEP = 1 << 16
 STRATEGIES = ("nl", "broadcast_block", "copartition", "parent", "probe", "asof", "crossrow")
 
 
@@ -29,13 +32,34 @@ def _inside() -> F.Column:
     return F.col("f").between(F.col("_of"), F.col("_of") + F.col("_oc") - 1)
 
 
+def spread_over_blocks(df: DataFrame, f: str, c: str, block: int, out: str) -> DataFrame:
+    """Runs once for each block of positions they touch, in two steps so that no array is longer than `_STEP` blocks."""
+    first, last = F.expr(f"{f} div {block}"), F.expr(f"({f} + {c} - 1) div {block}")
+    df = df.withColumn("_s", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((last - first) / _STEP))))
+    lo = first + F.col("_s") * _STEP
+    return df.withColumn(out, F.explode(F.sequence(lo, F.least(last, lo + _STEP - 1)))).drop("_s")
+
+
 def _cut(outer: DataFrame, block: int) -> DataFrame:
     """Outer runs once for each block of positions they touch."""
-    return _tagged(outer).withColumn("_blk", F.explode(F.sequence(F.expr(f"_of div {block}"), F.expr(f"(_of + _oc - 1) div {block}"))))
+    return spread_over_blocks(_tagged(outer), "_of", "_oc", block, "_blk")
+
+
+def touched(outer: DataFrame, block: int) -> int:
+    """Rows of `_cut`, without making them."""
+    return outer.agg(F.sum(F.expr(f"(f + c - 1) div {block} - f div {block} + 1"))).first()[0] or 0
 
 
-def containment_join(outer: DataFrame, inner: DataFrame, strategy: str, block: int = BLOCK) -> DataFrame:
+def containment_join(outer: DataFrame, inner: DataFrame, strategy: str, block: int = BLOCK, most: int | None = None) -> DataFrame:
+    """most: a bound of the outer's rows after they are spread over blocks, where one is known; else they are counted.
+
+    What a strategy would hold in every task is counted first; over `BROADCAST_RUNS` rows the join shuffles instead.
+    """
     keep = [*inner.columns, *[c for c in outer.columns if c not in ("f", "c")]]
+    if strategy in ("nl", "crossrow", "probe", "broadcast_block"):
+        n = most if most is not None else touched(outer, block) if strategy == "broadcast_block" else outer.count()
+        if n > BROADCAST_RUNS:
+            strategy = "copartition"
     if strategy == "nl":
         out = inner.join(F.broadcast(_tagged(outer)), _inside())
     elif strategy == "crossrow":
@@ -55,6 +79,14 @@ def containment_join(outer: DataFrame, inner: DataFrame, strategy: str, block: i
     return out.select(*keep)
 
 
+def bucketed_join(catalog, outer: DataFrame, inner: DataFrame, block: int = BLOCK, buckets: int = 8) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(the containment join, and both sides as stored): sides bucketed by block once, then joined without a shuffle as often as asked for."""
+    o = layout.write_bucketed(catalog, _cut(outer, block), "outer_runs", "_blk", buckets)
+    i = layout.write_bucketed(catalog, inner.withColumn("_b", F.expr(f"f div {block}")), "inner_runs", "_b", buckets)
+    keep = [*inner.columns, *[c for c in outer.columns if c not in ("f", "c")]]
+    return i.join(o.hint("merge"), (F.col("_b") == F.col("_blk")) & _inside()).select(*keep), o, i
+
+
 def _asof(outer: DataFrame, inner: DataFrame, keep: list[str], block: int) -> DataFrame:
     """Both sides in order within a block; the last outer run carries forward."""
     values = [c for c in outer.columns if c not in ("f", "c")]
@@ -68,9 +100,6 @@ def _asof(outer: DataFrame, inner: DataFrame, keep: list[str], block: int) -> Da
 def _probe(outer: DataFrame, inner: DataFrame, keep: list[str]) -> DataFrame:
     """Binary search of each inner start in the sorted outer starts, a counted table held by every task."""
     values = [c for c in outer.columns if c not in ("f", "c")]
-    n = outer.count()
-    if n > BROADCAST_RUNS:
-        raise ValueError(f"{n} outer runs are too many to probe; use copartition")
     table = outer.orderBy("f").toArrow()
     schema = inner.select(*inner.columns).join(outer.select(*values).limit(0), how="cross").select(*keep).schema
     arrow = to_arrow_schema(schema)
@@ -97,7 +126,7 @@ def overlap_join(a: DataFrame, b: DataFrame, block: int = BLOCK) -> DataFrame:
     """
     def cut(df: DataFrame, p: str) -> DataFrame:
         df = df.withColumnRenamed("f", f"{p}f").withColumnRenamed("c", f"{p}c")
-        return df.withColumn(f"{p}blk", F.explode(F.sequence(F.expr(f"{p}f div {block}"), F.expr(f"({p}f + {p}c - 1) div {block}"))))
+        return spread_over_blocks(df, f"{p}f", f"{p}c", block, f"{p}blk")
 
     x, y = cut(a, "_a"), cut(b, "_b")
     lo = F.greatest("_af", "_bf")

@@ -8,12 +8,14 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from runstore.operators import bandjoin
+
 BLOCK = 1 << 12
 
 
 def _cut(df: DataFrame, block: int) -> DataFrame:
     """Runs cut at block borders: (blk, f, end, v)."""
-    df = df.withColumn("blk", F.explode(F.sequence(F.expr(f"f div {block}"), F.expr(f"(f + c - 1) div {block}"))))
+    df = bandjoin.spread_over_blocks(df, "f", "c", block, "blk")
     lo = F.greatest("f", F.col("blk") * block)
     hi = F.least(F.col("f") + F.col("c"), (F.col("blk") + 1) * block)
     return df.select("blk", lo.alias("f"), hi.alias("end"), "v")

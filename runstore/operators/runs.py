@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from runstore.catalog import Catalog
 from runstore.operators import positions
 from runstore.sources import layout
 from runstore.spec import RunTable, SortedProjection
@@ -62,9 +63,11 @@ def build_runs(catalog, p: SortedProjection) -> dict[str, RunTable]:
             rt = t.select(F.col("t.f").alias("f"), F.col(f"t.{col}").alias("v"), F.col("t.c").alias("c"), "parent_f")
             runs = tables[k].count()
             kind = layout.choose(n, runs, dict(rt.dtypes)["v"])
-            out[col] = layout.write(catalog, rt, p.name, col, k + 1, kind, n, runs)
+            out[col] = layout.write(catalog, rt, p.name, col, k + 1, kind, n, runs, p.delta)
             manifest.append({"projection": p.name, "column": col, "depth": k + 1, "layout": kind, "n_rows": n, "n_runs": runs, "path": out[col].path})
-        catalog.save_manifest(p.name, manifest)
+        path = catalog.save_manifest(p.name, manifest)
+        for t in out.values():
+            t.manifest = path
         return out
 
     return catalog.made(("runs", p), build)
@@ -76,13 +79,33 @@ def build_unaligned(catalog, p: SortedProjection, block: int = 1 << 16) -> dict[
     def build() -> dict[str, DataFrame]:
         rows = p.frame(catalog).select(*dict.fromkeys((*p.sort_cols, *p.stored)))
         placed = catalog.stored(positions.assign_positions(catalog, rows, list(p.sort_cols)).select("pos", *p.stored), f"{p.name}-rows")
-        return {c: catalog.stored(unbroken_runs(placed.select("pos", F.col(c).alias("v")), block), f"{p.name}-{c}") for c in p.stored}
+        return {c: catalog.stored(unbroken_runs(placed.select("pos", F.col(c).alias("v")), block, catalog), f"{p.name}-{c}") for c in p.stored}
 
     return catalog.made(("unaligned", p), build)
 
 
-def unbroken_runs(rows: DataFrame, block: int) -> DataFrame:
+def _carried(catalog, ends: DataFrame) -> DataFrame:
+    """Rows (blk, cont, carried): the start of the run that is open when a block begins.
+
+    Blocks are range-split; each part hands its last open start to those after
+    it (one number a part reaches the driver), inside a part a window carries it.
+    """
+    parts = catalog.stored(ends.repartitionByRange("blk").withColumn("_p", F.spark_partition_id()), "block-ends")
+    last = dict(parts.where("open is not null").groupBy("_p").agg(F.max_by("open", "blk")).collect())
+    rows, at = [], None
+    for p in range((max(last) if last else 0) + 2):
+        rows.append((p, at))
+        at = last.get(p, at)
+    top = len(rows) - 1
+    into = catalog.spark.createDataFrame(rows, "_p int, _at long")
+    w = Window.partitionBy("_p").orderBy("blk").rowsBetween(Window.unboundedPreceding, -1)
+    parts = parts.withColumn("_own", F.last("open", ignorenulls=True).over(w)).withColumn("_p", F.least("_p", F.lit(top)))
+    return parts.join(F.broadcast(into), "_p").select("blk", "cont", F.coalesce("_own", "_at").alias("carried"))
+
+
+def unbroken_runs(rows: DataFrame, block: int, catalog: Catalog | None = None) -> DataFrame:
     """Maximal runs (f, v, c) of rows (pos, v)."""
+    catalog = catalog or Catalog(rows.sparkSession, "")
     rows = rows.withColumn("blk", F.expr(f"pos div {block}"))
     w = Window.partitionBy("blk").orderBy("pos")
     first = F.row_number().over(w) == 1
@@ -91,18 +114,17 @@ def unbroken_runs(rows: DataFrame, block: int) -> DataFrame:
     part = rows.groupBy("blk", "g").agg(F.min("pos").alias("f"), F.first("v").alias("v"), F.count("*").alias("c"))
     # one row a block: its first and last run; a block's first run may continue the last one's before it
     ends = part.groupBy("blk").agg(F.min_by(F.struct("v", "f"), "g").alias("a"), F.max_by(F.struct("v", "f"), "g").alias("z"), F.count("*").alias("n"))
-    line = Window.orderBy("blk")
-    ends = ends.withColumn("cont", F.coalesce(F.col("a.v").eqNullSafe(F.lag("z").over(line)["v"]) & (F.lag("blk").over(line) == F.col("blk") - 1), F.lit(False)))
-    ends = ends.withColumn("open", F.when(~F.col("cont") | (F.col("n") > 1), F.col("z.f")))
-    ends = ends.withColumn("carried", F.last("open", ignorenulls=True).over(line.rowsBetween(Window.unboundedPreceding, -1)))
-    part = part.join(ends.select("blk", "cont", "carried"), "blk")
+    before = ends.select((F.col("blk") + 1).alias("blk"), F.col("z").alias("y"))
+    ends = ends.join(before, "blk", "left").withColumn("cont", F.col("y").isNotNull() & F.col("a.v").eqNullSafe(F.col("y.v")))
+    ends = ends.withColumn("open", F.when(~F.col("cont") | (F.col("n") > 1), F.col("z.f"))).select("blk", "cont", "open")
+    part = part.join(_carried(catalog, ends), "blk")
     start = F.when((F.col("g") == 1) & F.col("cont"), F.col("carried")).otherwise(F.col("f"))
     return part.groupBy(start.alias("f")).agg(F.first("v").alias("v"), F.sum("c").alias("c")).select("f", "v", "c")
 
 
 def expand(rt: DataFrame) -> DataFrame:
     """One row (pos, v) for each position of a run table."""
-    return rt.select(F.explode(F.sequence("f", F.col("f") + F.col("c") - 1)).alias("pos"), "v")
+    return layout.positions_of_runs(rt.select("f", "c", "v"))
 
 
 def reconstruct(catalog, p: SortedProjection) -> DataFrame:

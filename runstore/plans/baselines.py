@@ -8,26 +8,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from runstore.catalog import SCHEMAS
-from runstore.functions.aggs import plain
 from runstore.operators import positions, runs
 from runstore.plans import collapse, rewrite
+from runstore.plans.views import answer
 from runstore.sources import layout
 from runstore.spec import Pred, SortedProjection, StarQuery, joined
 
 
-def answer(df: DataFrame, q: StarQuery) -> DataFrame:
-    """The query's filter, grouping and aggregates over (joined) rows."""
-    kinds = dict(df.dtypes)
-    for p in q.preds:
-        df = df.where(p.on(F.col(p.col)))
-    if q.aggs:
-        df = df.groupBy(*q.columns).agg(*[plain(a, kinds.get(a.col, "")) for a in q.aggs])
-    else:
-        df = df.select(*q.columns)
-    df = df.orderBy(*q.order) if q.order else df
-    return df.limit(q.limit) if q.limit is not None else df
-
-
 def to_row_layout(catalog, table: str) -> str:
     """The table with each tuple as one serialized value, in primary-key order: nothing can be pruned."""
     def build() -> str:
@@ -122,7 +109,7 @@ def run_hybrid(catalog, q: StarQuery, p: SortedProjection, key: str) -> DataFram
     known = tuple(x for x in q.preds if x.col in p.sort_cols)
     got = rewrite.positions_of(catalog, StarQuery(q.base, q.joins, known, (key,)), p)
     rows = joined(catalog, q.base, q.joins)
-    if got is None:
+    if got is None:  # a collapsed span is empty
         return answer(rows.where("false"), q)
     hits = got[0].select(F.col(key).alias("_key")).distinct()
     return answer(rows.join(hits, rows[key].eqNullSafe(hits["_key"]), "left_semi"), q)

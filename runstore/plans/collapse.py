@@ -21,12 +21,23 @@ def is_contiguous(p: SortedProjection, q: StarQuery, col: str) -> bool:
     equality (its value is then a literal), and not aggregated.
     """
     preds = [x for x in q.preds if x.col == col]
-    if not preds or not all(x.contiguous for x in preds) or any(a.col == col for a in q.aggs):
+    if not preds or not all(x.contiguous for x in preds) or any(col in (a.col, a.by) for a in q.aggs):
         return False
     equal = lambda c: any(x.col == c and x.op == "=" for x in q.preds)
     return all(equal(c) for c in p.sort_cols[: p.depth(col) - 1]) and (col not in q.columns or equal(col))
 
 
+def may_collapse(p: SortedProjection, q: StarQuery, col: str) -> bool:
+    """Whether the runs of col that pass may be replaced by their positions, as one span or several.
+
+    Its values must not be asked for, and all columns before are fixed by
+    equalities (so that its runs are found in one stretch).
+    """
+    equal = lambda c: any(x.col == c and x.op == "=" for x in q.preds)
+    asked = col in q.columns or any(col in (a.col, a.by) for a in q.aggs)
+    return any(x.col == col for x in q.preds) and not asked and all(equal(c) for c in p.sort_cols[: p.depth(col) - 1])
+
+
 def collapse_span(catalog, rt: RunTable, preds: tuple[Pred, ...], within: Span | None = None) -> Span | None:
     """The span of runs whose values pass (inside another span, if given); None if there are none."""
     df = layout.read_by_value(catalog, rt, preds)
@@ -40,6 +51,10 @@ def collapse_span(catalog, rt: RunTable, preds: tuple[Pred, ...], within: Span |
     return Span(lo, hi)
 
 
+#: Spans that are handed to a scan as literals.
+FEW = 64
+
+
 def collapse_spans(runs: DataFrame, most: int = 1000) -> list[Span] | None:
     """Qualifying runs (f, c) as few spans, for IN lists and the like; None if there are more than `most`.
 

@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from runstore.functions.aggs import weighted
+from runstore.functions.aggs import exact, weighted
 from runstore.operators import bandjoin, runs
+from runstore.operators.deep import block_for
 from runstore.plans import collapse
 from runstore.sources import layout
 from runstore.spec import RunTable, SortedProjection, Span, StarQuery
@@ -24,7 +23,7 @@ def column_kinds(catalog, p: SortedProjection) -> dict[str, str]:
     return catalog.made(("kinds", p), lambda: dict(p.frame(catalog).dtypes))
 
 
-def _values(rt: RunTable, q: StarQuery, span: Span | None, keep_parent: bool) -> DataFrame:
+def _values(rt: RunTable, q: StarQuery, span: Span | list[Span] | None, keep_parent: bool) -> DataFrame:
     """Runs of one column in a span whose values pass, v renamed to the column."""
     df = layout.read_runs(rt, span)
     for x in q.preds:
@@ -40,15 +39,12 @@ def _pick(outer_runs: int, adjacent: bool) -> str:
     return "broadcast_block" if outer_runs <= bandjoin.BROADCAST_RUNS else "copartition"
 
 
-def block_for(outer: RunTable) -> int:
-    """A block of about 16 outer runs, so that an inner run meets few of them whatever their length."""
-    return 1 << max(4, math.ceil(math.log2(16 * max(1, outer.rows) / max(1, outer.runs))))
-
-
-def positions_of(catalog, q: StarQuery, p: SortedProjection, collapsing: bool = True, join: str | None = None) -> tuple[DataFrame, dict[str, object]] | None:
-    """Qualifying runs of the deepest needed column with all needed values, and values known as literals.
+def positions_of(catalog, q: StarQuery, p: SortedProjection, collapsing: bool = True, join: str | None = None) -> tuple[DataFrame, dict[str, object], Span | list[Span] | None] | None:
+    """Qualifying runs of the deepest needed column with all needed values, values known as literals, and the span(s) they lie in.
 
-    None if a collapsed span shows that nothing qualifies.
+    None if a collapsed span shows that nothing qualifies.  join `seek` reads the
+    inner column at the outer runs' positions only (literals in the scan), as
+    long as these are few; beyond that it is the block join.
     """
     tables = runs.build_runs(catalog, p)
     cols, span, literal = needed_columns(p, q), None, {}
@@ -60,23 +56,43 @@ def positions_of(catalog, q: StarQuery, p: SortedProjection, collapsing: bool =
         if span is None:
             return None
         literal.update({x.col: x.value for x in mine if x.op == "="})
+    if collapsing and len(left) > 1 and collapse.may_collapse(p, q, left[0]):
+        # values that are not neighbours (IN, <>, LIKE): several spans, if they are few
+        c = left[0]
+        found = layout.read_by_value(catalog, tables[c], tuple(x for x in q.preds if x.col == c))
+        spans = collapse.collapse_spans(found if span is None else found.where(layout.inside(span)), collapse.FEW)
+        if spans == []:
+            return None
+        if spans:
+            span, left = spans, left[1:]
     df, before = None, None
     for c in left:
         parent = before is not None and p.depth(c) == p.depth(before) + 1
         inner = _values(tables[c], q, span, parent)
         if df is None:
             df = inner
+            if join == "seek" and any(x.col == c for x in q.preds):
+                mine = tuple(x for x in q.preds if x.col == c)
+                df = layout.read_by_value(catalog, tables[c], mine)
+                df = (df if span is None else df.where(layout.inside(span))).select("f", "c", F.col("v").alias(c))
         else:
-            how = join or _pick(tables[before].runs, parent)
+            outer = tables[before]
+            how = join or _pick(outer.runs, parent)
+            if how == "seek":
+                if spans := collapse.collapse_spans(df.select("f", "c"), collapse.FEW):
+                    span = spans
+                    inner = _values(tables[c], q, span, parent)
+                how = "broadcast_block"
             if how == "parent" and not parent:
-                how = _pick(tables[before].runs, False)
-            if how == "parent" and tables[before].runs <= bandjoin.BROADCAST_RUNS:
+                how = _pick(outer.runs, False)
+            if how == "parent" and outer.runs <= bandjoin.BROADCAST_RUNS:
                 df = F.broadcast(df)
-            df = bandjoin.containment_join(df, inner, how, block_for(tables[before]))
+            size = block_for(outer)
+            df = bandjoin.containment_join(df, inner, how, size, outer.runs if how in ("nl", "crossrow", "probe") else outer.runs + outer.rows // size + 1)
             if parent:
                 df = df.drop("parent_f")
         before = c
-    return df, literal
+    return df, literal, span
 
 
 def rewrite_runs(catalog, q: StarQuery, p: SortedProjection, collapsing: bool = True, join: str | None = None, plan: str = "hash") -> DataFrame:
@@ -94,7 +110,7 @@ def rewrite_runs(catalog, q: StarQuery, p: SortedProjection, collapsing: bool =
     got = positions_of(catalog, q, p, collapsing, join)
     if got is None:
         return _empty(catalog, q, p, kinds)
-    df, literal = got
+    df, literal, _ = got
     for c, v in literal.items():
         if c in q.columns:
             df = df.withColumn(c, F.lit(v).cast(kinds[c]))
@@ -103,13 +119,12 @@ def rewrite_runs(catalog, q: StarQuery, p: SortedProjection, collapsing: bool =
 
 def _finish(df: DataFrame, q: StarQuery, p: SortedProjection, kinds: dict[str, str]) -> DataFrame:
     if not q.aggs:
-        rows = df.select(*q.columns, F.explode(F.sequence(F.lit(1).cast("long"), "c")).alias("_n")).drop("_n")
-        return _ordered(rows, q)
+        return _ordered(layout.copies(df, q.columns), q)
     cols = needed_columns(p, q)
     if q.columns == (cols[-1],) == (p.sort_cols[0],) and all(a.fn == "count" for a in q.aggs):
         # values of the leading column are unique: a run is a group
         return _ordered(df.select(*q.columns, *[F.col("c").alias(a.alias) for a in q.aggs]), q)
-    out = df.groupBy(*q.columns).agg(*[weighted(a, F.col(a.col) if a.col else None, F.col("c"), kinds.get(a.col, "")) for a in q.aggs])
+    out = df.groupBy(*q.columns).agg(*[weighted(a, F.col(a.col) if a.col else None, F.col("c"), kinds.get(a.col, ""), F.col(a.by) if a.by else None) for a in q.aggs])
     return _ordered(out, q)
 
 
@@ -136,9 +151,11 @@ def _by_parent(catalog, q: StarQuery, p: SortedProjection, plan: str, kinds: dic
     if got is None:
         return _empty(catalog, q, p, kinds)
     outer = got[0].select(F.col("f").alias("of"), group)
-    rt = tables[inner]
-    values = _values(rt, q, None, True)
+    # the inner runs lie in the span that the parents were found in
+    values = _values(tables[inner], q, got[2], True)
     if plan == "eager":
+        if any(x.col == group for x in q.preds):
+            values = values.join(outer.select("of"), F.col("parent_f") == F.col("of"), "left_semi")
         sums = _partial(values.groupBy("parent_f"), q, inner, kinds)
         joined = outer.join(sums, F.col("of") == F.col("parent_f"))
     else:
@@ -154,9 +171,7 @@ def _by_parent(catalog, q: StarQuery, p: SortedProjection, plan: str, kinds: dic
 
 
 def _partial(grouped, q: StarQuery, inner: str, kinds: dict[str, str]) -> DataFrame:
-    from runstore.functions.aggs import exact
-
-    aggs = [F.sum(F.col("c") if a.fn == "count" else exact(F.col(inner), kinds[inner]) * F.col("c")).alias(f"_{a.alias}") for a in q.aggs]
+    aggs = [F.sum(F.col("c") if a.fn == "count" else exact(F.col(inner), kinds[inner], inner) * F.col("c")).alias(f"_{a.alias}") for a in q.aggs]
     return grouped.agg(*aggs)
 
 
@@ -165,6 +180,8 @@ def last_children(catalog, q: StarQuery, p: SortedProjection) -> DataFrame:
 
     In a nested sort a run's greatest value of the next column is the child
     that ends where the run ends, so an equality of ends replaces the band join.
+    Where a comparison takes children away, or a first child is null (nulls sort
+    first, and MIN passes over them), the general rewrite answers instead.
     """
     (agg,) = q.aggs
     cols = needed_columns(p, q)
@@ -172,11 +189,15 @@ def last_children(catalog, q: StarQuery, p: SortedProjection) -> DataFrame:
     if agg.fn not in ("max", "min") or agg.col != inner or q.columns != (group,) or p.depth(inner) != p.depth(group) + 1:
         raise ValueError("the query is not a MAX or MIN right below its group column")
     kinds = column_kinds(catalog, p)
-    above = StarQuery(q.base, q.joins, tuple(x for x in q.preds if x.col != inner), (group,), ())
+    rt = runs.build_runs(catalog, p)[inner]
+    nulls = agg.fn == "min" and catalog.made(("has nulls", rt.path), lambda: not rt.frame.where("v is null").isEmpty())
+    if nulls or any(x.col == inner for x in q.preds):
+        return rewrite_runs(catalog, q, p)
+    above = StarQuery(q.base, q.joins, q.preds, (group,), ())
     got = positions_of(catalog, above, p)
     if got is None:
         return _empty(catalog, q, p, kinds)
     key = (lambda: F.col("f") + F.col("c")) if agg.fn == "max" else (lambda: F.col("f"))
     outer = got[0].select(key().alias("_k"), group)
-    child = _values(runs.build_runs(catalog, p)[inner], q, None, False).select(key().alias("_k"), inner)
-    return outer.join(child, "_k").groupBy(group).agg(getattr(F, agg.fn)(inner).alias(agg.alias))
+    child = _values(rt, q, got[2], False).select(key().alias("_k"), inner)
+    return _ordered(outer.join(child, "_k").groupBy(group).agg(getattr(F, agg.fn)(inner).alias(agg.alias)), q)

@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from runstore.functions.aggs import plain
+from runstore.functions.aggs import is_money, plain
 from runstore.spec import MONEY, Agg, StarQuery, ViewDefinition, joined
 
 #: How an aggregate over groups is made from the same aggregate of finer groups.
@@ -39,7 +39,7 @@ def merge_definitions(defs: list[ViewDefinition]) -> list[ViewDefinition]:
 
 def _finest(a: Agg, kind: str) -> F.Column:
     """An aggregate as the view stores it: money stays decimal, so that it can be added to."""
-    if a.fn == "sum" and kind == "double":
+    if a.fn == "sum" and is_money(a.col, kind):
         return F.sum(F.col(a.col).cast(MONEY)).alias(a.alias)
     return plain(a, kind)
 
@@ -49,12 +49,33 @@ def build_view(catalog, v: ViewDefinition) -> DataFrame:
     def build() -> DataFrame:
         rows = joined(catalog, v.base, v.joins)
         kinds = dict(rows.dtypes)
-        out = rows.groupBy(*v.groups).agg(*[_finest(a, kinds.get(a.col, "")) for a in v.aggs])
-        return catalog.stored(out.repartitionByRange(v.groups[0]).sortWithinPartitions(*v.groups), v.name)
+        return _stored(catalog, v, rows.groupBy(*v.groups).agg(*[_finest(a, kinds.get(a.col, "")) for a in v.aggs]))
 
     return catalog.made(("view", v), build)
 
 
+def _stored(catalog, v: ViewDefinition, rows: DataFrame) -> DataFrame:
+    return catalog.stored(rows.repartitionByRange(v.groups[0]).sortWithinPartitions(*v.groups), v.name)
+
+
+def materialize_exact(catalog, q: StarQuery, name: str) -> DataFrame:
+    """The answer of one query with its constants, stored; the router serves that very query from it."""
+    return catalog.made(("exact", ViewDefinition(name, q.base, q.joins, q.columns, q.aggs), q), lambda: materialize(catalog, answer(joined(catalog, q.base, q.joins), q), name))
+
+
+def answer(df: DataFrame, q: StarQuery) -> DataFrame:
+    """The query's filter, grouping and aggregates over (joined) rows."""
+    kinds = dict(df.dtypes)
+    for p in q.preds:
+        df = df.where(p.on(F.col(p.col)))
+    if q.aggs:
+        df = df.groupBy(*q.columns).agg(*[plain(a, kinds.get(a.col, "")) for a in q.aggs])
+    else:
+        df = df.select(*q.columns)
+    df = df.orderBy(*q.order) if q.order else df
+    return df.limit(q.limit) if q.limit is not None else df
+
+
 def match_view(q: StarQuery, v: ViewDefinition) -> str:
     """Why the view cannot answer the query; empty if it can."""
     if q.base != v.base or set(q.joins) != set(v.joins):
@@ -81,10 +102,19 @@ def answer_from_view(catalog, q: StarQuery, v: ViewDefinition, reaggregate: bool
         df = df.where(p.on(F.col(p.col)))
     source = {(a.fn, a.col): a.alias for a in v.aggs}
     fixed = {p.col for p in q.preds if p.op == "="}
-    out = lambda c, a: (c.cast("double") if a.fn == "sum" else c).alias(a.alias)
-    if not reaggregate and set(v.groups) - fixed == set(q.columns) - fixed:
-        return df.select(*q.columns, *[out(F.col(source[a.fn, a.col]), a) for a in q.aggs])
-    return df.groupBy(*q.columns).agg(*[out(getattr(F, MERGE[a.fn])(source[a.fn, a.col]), a) for a in q.aggs])
+
+    def out(c: Column, a: Agg) -> Column:
+        if a.fn == "count":
+            c = F.coalesce(c, F.lit(0).cast("long"))  # a count over no rows is none
+        return (c.cast("double") if a.fn == "sum" and "decimal" in kinds[source[a.fn, a.col]] else c).alias(a.alias)
+
+    kinds = dict(df.dtypes)
+    if not reaggregate and q.columns and set(v.groups) - fixed == set(q.columns) - fixed:
+        df = df.select(*q.columns, *[out(F.col(source[a.fn, a.col]), a) for a in q.aggs])
+    else:
+        df = df.groupBy(*q.columns).agg(*[out(getattr(F, MERGE[a.fn])(source[a.fn, a.col]), a) for a in q.aggs])
+    df = df.orderBy(*q.order) if q.order else df
+    return df.limit(q.limit) if q.limit is not None else df
 
 
 def derive_view(catalog, v: ViewDefinition, groups: tuple[str, ...]) -> DataFrame:
@@ -126,3 +156,35 @@ def refresh(v: ViewDefinition, view: DataFrame, inserts: DataFrame | None = None
     kept = view.join(touched, on(view, touched), "left_anti")
     again = remaining.join(touched, on(remaining, touched), "left_semi")
     return kept.unionByName(delta_of(v, again))
+
+
+def apply_change(catalog, table: str, inserts: DataFrame | None = None, deletes: DataFrame | None = None, key: tuple[str, ...] = (), definitions: list[ViewDefinition] = ()) -> None:
+    """Change a base table and bring the stored views on it up to date; run tables on it are made anew when next asked for.
+
+    inserts: rows of the table; deletes: rows to go, found by the columns of `key`.
+    A view whose other tables did not change is refreshed from the changed rows alone and stored again.
+    """
+    old = catalog.table(table)
+    gone = None if deletes is None else old.join(deletes.select(*key).distinct(), list(key), "left_semi")
+    now = old if deletes is None else old.join(deletes.select(*key).distinct(), list(key), "left_anti")
+    now = now if inserts is None else now.unionByName(inserts)
+    now = catalog.stored(now, f"table-{table}")
+    kept = {v.name: build_view(catalog, v) for v in definitions if v.base == table}
+    gone = None if gone is None else catalog.stored(gone, f"gone-{table}")
+    fixed = {t: catalog.table(t) for v in definitions for t in [j.table for j in v.joins]}
+
+    class Changed:
+        """The tables as a view's joins see them: the base replaced by some of its rows."""
+
+        def __init__(self, rows: DataFrame):
+            self.rows = rows
+
+        def table(self, name: str) -> DataFrame:
+            return self.rows if name == table else fixed[name]
+
+    rows_of = lambda v, rows: None if rows is None else joined(Changed(rows), v.base, v.joins)
+    catalog.replace(table, now)
+    for v in definitions:
+        if v.name in kept:
+            fresh = refresh(v, kept[v.name], rows_of(v, inserts), rows_of(v, gone), rows_of(v, now))
+            catalog.keep(("view", v), _stored(catalog, v, fresh), v)

@@ -10,6 +10,26 @@ from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter
 _PYARROW = {EqualTo: "==", GreaterThan: ">", GreaterThanOrEqual: ">=", LessThan: "<", LessThanOrEqual: "<="}
 
 
+def _file_system(path: str):
+    """The Arrow file system of a path or URI (hdfs, s3, gs, file), and the path in it."""
+    from pyarrow import fs
+
+    if "://" not in path and not path.startswith("file:"):
+        return fs.LocalFileSystem(), path
+    return fs.FileSystem.from_uri(path if "://" in path else "file://" + path.removeprefix("file:"))
+
+
+def _open_folder(path: str):
+    """(file system, its Parquet files below the path); an error if there are none."""
+    from pyarrow import fs
+
+    system, at = _file_system(path)
+    found = sorted(x.path for x in system.get_file_info(fs.FileSelector(at, recursive=False)) if x.base_name.endswith(".parquet"))
+    if not found:
+        raise FileNotFoundError(f"no run table below {path}")
+    return system, found
+
+
 class FilePart(InputPartition):
     def __init__(self, path: str, group: int):
         self.path, self.group = path, group
@@ -19,7 +39,7 @@ class RunStoreReader(DataSourceReader):
     """One task for each row group whose statistics admit the pushed comparisons."""
 
     def __init__(self, path: str):
-        self.path, self.kept = path.removeprefix("file://"), []
+        self.path, self.kept = path, []
 
     def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:
         for f in filters:
@@ -45,13 +65,12 @@ class RunStoreReader(DataSourceReader):
         return True
 
     def partitions(self) -> list[FilePart]:
-        import glob
-
         import pyarrow.parquet as pq
 
         out = []
-        for name in sorted(glob.glob(f"{self.path}/*.parquet")):
-            file = pq.ParquetFile(name)
+        files = _open_folder(self.path)
+        for name in files[1]:
+            file = pq.ParquetFile(name, filesystem=files[0])
             names = file.schema_arrow.names
             out += [FilePart(name, g) for g in range(file.num_row_groups) if self._may(file.metadata.row_group(g), names)]
         return out or [FilePart("", 0)]
@@ -63,7 +82,9 @@ class RunStoreReader(DataSourceReader):
 
         if not part.path:
             return
-        t = pq.ParquetFile(part.path).read_row_group(part.group)
+        fs, folder = _file_system(self.path)
+        file = pq.ParquetFile(part.path, filesystem=fs)
+        t = file.read_row_group(part.group, columns=[c for c in ("f", "v", "c") if c in file.schema_arrow.names])
         if "c" not in t.column_names:
             t = t.append_column("c", pa.array([1] * t.num_rows, pa.int64()))
         compare = {"==": pc.equal, "<": pc.less, "<=": pc.less_equal, ">": pc.greater, ">=": pc.greater_equal}
@@ -73,7 +94,7 @@ class RunStoreReader(DataSourceReader):
 
 
 class RunStoreSource(DataSource):
-    """Options: path (of a written run table on a mounted file system) and v (its value's SQL type)."""
+    """Options: path (of a written run table, on any store that Arrow opens by its URI) and v (its value's SQL type)."""
 
     @classmethod
     def name(cls) -> str:

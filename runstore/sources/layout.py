@@ -3,16 +3,18 @@
 from __future__ import annotations
 
 import math
+import uuid
+from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from runstore.spec import Pred, RunTable, Span
 
 #: Bytes of a value of each type in the size model (strings: as counted, 8 by default).
 WIDTH = {"int": 4, "bigint": 8, "double": 8, "timestamp_ntz": 4, "date": 4, "string": 8, "boolean": 1}
-#: Runs of one file at most.
-FILE_RUNS = 2_000_000
+#: Runs of one file at most, and positions of a run that are handled together.
+FILE_RUNS, PIECE = 2_000_000, 1 << 16
 
 
 def width(kind: str) -> int:
@@ -24,13 +26,39 @@ def choose(rows: int, runs: int, kind: str, overhead: int = 9) -> str:
     return "points" if rows * (8 + width(kind) + overhead) < runs * (8 + width(kind) + 8 + overhead) else "runs"
 
 
-def write(catalog, rt: DataFrame, projection: str, column: str, depth: int, kind: str, rows: int, runs: int) -> RunTable:
-    """Two copies of a run table: ordered by start, and by value (covering); each range-split and sorted."""
+def pieces(df: DataFrame, size: int = PIECE) -> DataFrame:
+    """Runs (f, c, others) cut into runs of at most `size` positions, so that what is made of one never is an array of any length."""
+    k = df.withColumn("_k", F.explode(F.sequence(F.lit(0).cast("long"), F.expr(f"(c - 1) div {size}"))))
+    return k.withColumns({"f": F.col("f") + F.col("_k") * size, "c": F.least(F.col("c") - F.col("_k") * size, F.lit(size).cast("long"))}).drop("_k")
+
+
+def copies(df: DataFrame, cols: tuple[str, ...]) -> DataFrame:
+    """Rows of runs, as often as these are long."""
+    return pieces(df.select("f", "c", *[F.col(c).alias(f"_{c}") for c in cols])).select(*[F.col(f"_{c}").alias(c) for c in cols], F.explode(F.sequence(F.lit(1).cast("long"), "c")).alias("_n")).drop("_n")
+
+
+def positions_of_runs(df: DataFrame) -> DataFrame:
+    """Runs (f, c, others), each position a row `pos` with the others."""
+    others = [c for c in df.columns if c not in ("f", "c")]
+    return pieces(df).select(F.explode(F.sequence("f", F.col("f") + F.col("c") - 1)).alias("pos"), *others)
+
+
+def delta_options(writer):
+    """Second-version Parquet pages code ascending starts as differences; no dictionary for them."""
+    return writer.option("parquet.writer.version", "PARQUET_2_0").option("parquet.enable.dictionary#f", "false").option("parquet.enable.dictionary#c", "false")
+
+
+def write(catalog, rt: DataFrame, projection: str, column: str, depth: int, kind: str, rows: int, runs: int, delta: bool = False) -> RunTable:
+    """Two copies of a run table: ordered by start, and by value (covering); each range-split and sorted.
+
+    delta: the copy ordered by start has its starts delta-coded.
+    """
     path, by_value = catalog.path(f"{projection}-{column}"), catalog.path(f"{projection}-{column}-by-value")
     if kind == "points":
-        rt = rt.select(F.explode(F.sequence("f", F.col("f") + F.col("c") - 1)).alias("f"), "v", "parent_f")
+        rt = positions_of_runs(rt).withColumnRenamed("pos", "f")
     files = max(1, math.ceil((rows if kind == "points" else runs) / FILE_RUNS))
-    _sorted(rt, files, "f").write.parquet(path)
+    out = _sorted(rt, files, "f").write
+    (delta_options(out) if delta else out).parquet(path)
     stored = catalog.spark.read.schema(rt.schema).parquet(path)
     _sorted(stored, files, "v", "f").write.parquet(by_value)
     return RunTable(projection, column, depth, kind, path, by_value, rows, runs, with_counts(stored))
@@ -45,10 +73,15 @@ def with_counts(df: DataFrame) -> DataFrame:
     return df if "c" in df.columns else df.withColumn("c", F.lit(1).cast("long"))
 
 
-def read_runs(rt: RunTable, span: Span | None = None) -> DataFrame:
-    """A run table, or its runs that start within a span: literals reach the Parquet scan."""
-    df = rt.frame
-    return df if span is None else df.where(F.col("f").between(F.lit(span.lo), F.lit(span.hi)))
+def inside(spans: Span | list[Span]) -> Column:
+    """Whether f lies in a span, or in one of several."""
+    spans = [spans] if isinstance(spans, Span) else spans
+    return reduce(lambda a, b: a | b, [F.col("f").between(F.lit(s.lo), F.lit(s.hi)) for s in spans])
+
+
+def read_runs(rt: RunTable, span: Span | list[Span] | None = None) -> DataFrame:
+    """A run table, or its runs that start within a span (or several): literals reach the Parquet scan."""
+    return rt.frame if span is None else rt.frame.where(inside(span))
 
 
 def read_by_value(catalog, rt: RunTable, preds: tuple[Pred, ...] = ()) -> DataFrame:
@@ -59,10 +92,17 @@ def read_by_value(catalog, rt: RunTable, preds: tuple[Pred, ...] = ()) -> DataFr
     return with_counts(df)
 
 
-def write_delta(rt: DataFrame, path: str) -> None:
-    """Runs with delta-coded starts: second-version Parquet pages, no dictionary for f."""
-    out = rt.coalesce(1).sortWithinPartitions("f").write.option("parquet.writer.version", "PARQUET_2_0")
-    out.option("parquet.enable.dictionary#f", "false").option("parquet.enable.dictionary#c", "false").parquet(path)
+def write_bucketed(catalog, df: DataFrame, name: str, column: str, buckets: int) -> DataFrame:
+    """A table bucketed by a column and sorted by it, at a place in scratch space: equal buckets of two such tables join without a shuffle."""
+    table, path = f"{name}_{uuid.uuid4().hex[:12]}", catalog.path(name)
+    df.repartition(buckets, column).write.format("parquet").bucketBy(buckets, column).sortBy(column).option("path", path).saveAsTable(table)
+    return catalog.spark.table(table)
+
+
+def write_delta(rt: DataFrame, path: str, files: int | None = None) -> None:
+    """Runs with delta-coded starts, range-split by start."""
+    n = files or max(1, math.ceil(rt.count() / FILE_RUNS))
+    delta_options(_sorted(rt, n, "f").write).parquet(path)
 
 
 def without_starts(rt: DataFrame, block: int) -> DataFrame:

@@ -9,8 +9,9 @@ from typing import Any
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Columns of money and rates hold at most two decimals; sums are exact in this type.
+#: Columns of money, rates and quantities that hold at most two decimals: their sums are exact in this type.
 MONEY = "decimal(18,2)"
+MONEY_COLUMNS = frozenset({"l_quantity", "l_extendedprice", "l_discount", "l_tax", "o_totalprice", "c_acctbal", "s_acctbal", "p_retailprice", "value"})
 
 OPS = ("=", "<>", "<", "<=", ">", ">=", "between", "in", "like", "null", "not null")
 
@@ -69,11 +70,15 @@ class Pred:
 
 @dataclass(frozen=True)
 class Agg:
-    """count (col None: of rows), sum, min, max, avg, count_distinct, var (population) of a column."""
+    """count (col None: of rows), sum, min, max, avg, count_distinct, approx_distinct, var and stddev (population) of a column.
+
+    min_by and max_by give `col` where `by` is least or greatest (of several, the least or the greatest value).
+    """
 
     fn: str
     col: str | None
     alias: str
+    by: str | None = None
 
 
 @dataclass(frozen=True)
@@ -93,7 +98,7 @@ class StarQuery:
 
     @property
     def needed(self) -> set[str]:
-        return {p.col for p in self.preds} | set(self.columns) | {a.col for a in self.aggs if a.col}
+        return {p.col for p in self.preds} | set(self.columns) | {c for a in self.aggs for c in (a.col, a.by) if c}
 
 
 @dataclass(frozen=True)
@@ -103,6 +108,7 @@ class SortedProjection:
     aligned: every stored column is a sort column, so runs nest.  Otherwise
     `stored` columns are run-length encoded in that order without being part of it.
     derived: columns computed from others, as SQL text.
+    delta: starts are written delta-coded.
     """
 
     name: str
@@ -112,6 +118,7 @@ class SortedProjection:
     aligned: bool = True
     stored: tuple[str, ...] = ()
     derived: tuple[tuple[str, str], ...] = ()
+    delta: bool = False
 
     def frame(self, catalog) -> DataFrame:
         return joined(catalog, self.base, self.joins, dict(self.derived))
@@ -136,6 +143,7 @@ class RunTable:
     rows: int
     runs: int
     frame: DataFrame = field(repr=False)
+    manifest: str = ""
 
 
 @dataclass(frozen=True)
@@ -165,6 +173,7 @@ class StrategyPlan:
     source: str = ""
     fallback_reason: str = ""
     selectivity: float | None = None
+    estimates: dict[str, float] = field(default_factory=dict)
 
 
 def joined(catalog, base: str, joins: tuple[Join, ...], derived: dict[str, str] | None = None) -> DataFrame:

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from runstore.catalog import SCHEMAS
+from runstore.catalog import SCHEMAS, file_system
 from runstore.spec import ViewDefinition
 from runstore.plans import views
 
@@ -26,22 +26,52 @@ def run_batches(stream: DataFrame, each: Callable[[DataFrame, int], None], check
 
 
 class MaintainedView:
-    """A view kept by micro-batches: each batch's groups are stored under its id, so a batch that runs again replaces itself."""
+    """A view kept by micro-batches: each batch's groups are stored under its id, so a batch that runs again replaces itself.
 
-    def __init__(self, catalog, definition: ViewDefinition, derive: Callable[[DataFrame], DataFrame] = lambda df: df):
-        self.catalog, self.definition, self.derive = catalog, definition, derive
+    Every `every` batches what came before is folded into one snapshot, named by
+    the last batch in it; readers merge the newest snapshot with later batches only.
+    """
+
+    def __init__(self, catalog, definition: ViewDefinition, derive: Callable[[DataFrame], DataFrame] = lambda df: df, every: int = 16):
+        self.catalog, self.definition, self.derive, self.every = catalog, definition, derive, every
         self.path = catalog.path(f"maintained-{definition.name}")
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         delta = views.delta_of(self.definition, self.derive(batch))
         delta.write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
+        if batch_id % self.every == self.every - 1:
+            self.compact(batch_id)
+
+    def _ids(self, kind: str) -> list[int]:
+        fs, at = file_system(self.catalog.spark, self.path)
+        names = [f.getPath().getName() for f in fs.listStatus(at)] if fs.exists(at) else []
+        return sorted(int(n.split("=")[1]) for n in names if n.startswith(f"{kind}="))
+
+    def _folders(self) -> list[str]:
+        snapshot = max(self._ids("snapshot"), default=None)
+        later = [f"{self.path}/batch={k}" for k in self._ids("batch") if snapshot is None or k > snapshot]
+        return [*([f"{self.path}/snapshot={snapshot}"] if snapshot is not None else []), *later]
+
+    def compact(self, upto: int) -> None:
+        """Fold all batches up to one into a snapshot; what it replaces is deleted after it stands."""
+        self.rows().write.mode("overwrite").parquet(f"{self.path}/snapshot={upto}")
+        for kind in ("batch", "snapshot"):
+            for k in self._ids(kind):
+                if k < upto or (kind == "batch" and k == upto):
+                    fs, at = file_system(self.catalog.spark, f"{self.path}/{kind}={k}")
+                    fs.delete(at, True)
 
     def rows(self) -> DataFrame:
-        """The view now: the batches' groups, merged."""
-        df = self.catalog.spark.read.option("basePath", self.path).parquet(f"{self.path}/*").drop("batch")
+        """The view now: the newest snapshot and later batches, merged."""
+        df = self.catalog.spark.read.parquet(*self._folders())
         return views.merged(self.definition, df.limit(0), df)
 
 
+def dropped_late(query) -> int:
+    """Rows that a finished or running stream query dropped because they came behind its watermark."""
+    return sum(s.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for s in p["stateOperators"])
+
+
 def append_segment(catalog, sort_cols: list[str], path: str) -> Callable[[DataFrame, int], None]:
     """A batch function that stores the batch's distinct sort prefixes with counts: a segment of a run design."""
     def each(batch: DataFrame, batch_id: int) -> None:

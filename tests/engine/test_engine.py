@@ -8,9 +8,9 @@ import pytest
 from runstore import queries
 from runstore import workloads as w
 from runstore.catalog import Catalog, catalog
-from runstore.operators import bandjoin, concat, positions, runs
+from runstore.operators import bandjoin, concat, deep, positions, runs
 from runstore.plans import baselines, collapse, rewrite, router, sqltext, views
-from runstore.sources import layout
+from runstore.sources import datasource, layout
 from runstore.spec import Agg, Pred, SortedProjection, Span, StarQuery
 
 SF = "/root/testdata/sf0.001"
@@ -275,3 +275,100 @@ def test_scan_metrics(cat):
 def test_outer_rows(cat):
     got = {r["query"]: (r["seek"], r["collapsed"]) for r in queries.outer_rows(cat).collect()}
     assert got["q3"][0] > 100 and got["q3"][1] == 1
+
+
+# ---- limits and fallbacks --------------------------------------------------------------------
+
+
+def test_limits_shuffle_instead_of_broadcasting(spark, cat, monkeypatch):
+    """With limits of a handful of rows every strategy gives the same rows, and holds no side in every task."""
+    outer = runs.build_runs(cat, w.S1)["l_shipdate"].frame.select("f", "c", "v").withColumnRenamed("v", "d")
+    inner = runs.build_runs(cat, w.S1)["l_suppkey"].frame.select("f", "v", "parent_f")
+    want = rows(bandjoin.containment_join(outer, inner, "parent").collect())
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    monkeypatch.setattr(bandjoin, "BROADCAST_RUNS", 5)
+    try:
+        for how in ("nl", "crossrow", "probe", "broadcast_block"):
+            df = bandjoin.containment_join(outer, inner, how)
+            plan = df._jdf.queryExecution().executedPlan().toString()
+            assert "Broadcast" not in plan and "MapInArrow" not in plan, how
+            assert rows(df.collect()) == want, how
+        monkeypatch.setattr(bandjoin, "BROADCAST_RUNS", 2)  # the leading column has three runs
+        got = deep.intersect_seeks(cat, w.S5, w.DEEP, w.DEEP_COLS)
+        assert "Broadcast" not in got._jdf.queryExecution().executedPlan().toString()
+        assert rows(got.collect()) == rows(cat.table("lineitem").where("l_quantity = 10 and l_suppkey = 7").select(*w.DEEP_COLS).collect())
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_no_window_over_all_rows(spark):
+    line = spark.createDataFrame([(i + 1, i // 90) for i in range(1000)], "pos long, v int")
+    df = runs.unbroken_runs(line, 64)
+    assert rows(df.select("f", "v", "c").collect()) == rows((90 * k + 1, k, min(90, 1000 - 90 * k)) for k in range(12))
+    assert "SinglePartition" not in df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_long_runs_are_cut_before_they_are_expanded(spark, monkeypatch):
+    df = spark.createDataFrame([(1, 200000, "a"), (200001, 3, "b")], "f long, c long, v string")
+    assert layout.pieces(df).agg({"c": "max"}).first()[0] == layout.PIECE and layout.pieces(df).agg({"c": "sum"}).first()[0] == 200003
+    got = layout.positions_of_runs(df)
+    assert got.count() == 200003 and got.agg({"pos": "max"}).first()[0] == 200003
+    huge = spark.createDataFrame([(1, 3_000_000_000, "a")], "f long, c long, v string")
+    assert layout.pieces(huge).count() == -(-3_000_000_000 // layout.PIECE)
+    assert bandjoin.touched(huge.select("f", "c"), 1 << 30) == 3
+
+
+def test_unknown_strategies_and_paths(spark, cat):
+    e = queries.engine(cat)
+    with pytest.raises(ValueError):
+        e.query(w.q7(), "fastest")
+    with pytest.raises(ValueError):
+        e.query(StarQuery("lineitem", (), (), ("l_tax",), (Agg("count", None, "n"),)), "hybrid")
+    datasource.register(spark)
+    with pytest.raises(Exception):
+        spark.read.format("runstore").option("path", "/nowhere/at/all").option("v", "long").load().count()
+
+
+def test_router_takes_the_hybrid_where_nothing_covers(cat, con):
+    e = queries.engine(cat)
+    assert e.plan(queries._HYBRID).strategy in ("hybrid", "columnar") and "hybrid" in e.plan(queries._HYBRID).estimates
+    assert rows(e.query(queries._HYBRID, "hybrid").collect()) == rows(e.query(queries._HYBRID, "columnar").collect())
+
+
+def test_seek_reads_a_span(cat):
+    df = rewrite.rewrite_runs(cat, w.q7(), w.S4, collapsing=False, join="seek")
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("GreaterThanOrEqual(f,") >= 2
+
+
+def test_several_spans(cat, con):
+    q = StarQuery("lineitem", (), (Pred("l_shipdate", "in", tuple(w.day(d) for d in ("1995-04-05", "1998-06-15", "1999-03-03"))),), ("l_suppkey",), (Agg("count", None, "n"),))
+    df = rewrite.rewrite_runs(cat, q, w.S1)
+    assert "Join" not in df._jdf.queryExecution().executedPlan().toString()
+    assert rows(df.collect()) == rows(baselines.run_columnar(cat, q).collect())
+
+
+def test_min_passes_over_null_children(spark):
+    df = spark.createDataFrame([("a", None), ("a", 3), ("a", 5), ("b", None), ("c", 2)], "k string, x int")
+    c, p = OneTable(spark, df), SortedProjection("nulls", "t", (), ("k", "x"))
+    for fn in ("min", "max"):
+        q = StarQuery("t", (), (), ("k",), (Agg(fn, "x", "m"),))
+        assert rows(rewrite.last_children(c, q, p).collect()) == rows(baselines.run_columnar(c, q).collect())
+
+
+def test_bucketed_sides_join_without_a_shuffle(spark, cat):
+    outer = runs.build_runs(cat, w.S1)["l_shipdate"].frame.select("f", "c", "v").withColumnRenamed("v", "d")
+    inner = runs.build_runs(cat, w.S1)["l_suppkey"].frame.select("f", "v")
+    df, _, _ = bandjoin.bucketed_join(cat, outer, inner)
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Exchange" not in plan
+    assert rows(df.collect()) == rows(bandjoin.containment_join(outer, inner, "copartition").collect())
+
+
+@pytest.mark.parametrize("key", ["adhoc_limit_views", "adhoc_empty_views", "adhoc_empty_runs", "q4_tail_pred", "q6_tail_pred", "sum_many_decimals", "view_follows_data", "runs_follow_data", "view_max_follows_data", "view_as_runs_q7", "outer_rows", "agg_stddev", "agg_arg", "agg_quantile", "io_partitioned", "stored_s2_l_shipdate"])
+def test_more_queries_against_sql(spark, con, key):
+    df = queries.QUERIES[key](spark, SF)
+    c = con.execute(queries.ORACLES[key])
+    names = [x[0] for x in c.description]
+    assert sorted(df.columns) == sorted(names)
+    assert rows(df.select(*names).collect()) == rows(c.fetchall())

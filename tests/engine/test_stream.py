@@ -80,3 +80,27 @@ def test_open_runs(spark, tmp_path):
             c = 0
         last[r["user_id"]] = (r["event_type"], c + 1)
     assert sorted(map(tuple, spark.table("open_runs").collect())) == sorted(want)
+
+
+def test_snapshots_replace_batches(spark, tmp_path):
+    _, folder = split(spark, tmp_path, 5)
+    kept = stream.MaintainedView(catalog(spark, SF), VIEW, every=2)
+    stream.run_batches(stream.open_events(spark, folder), kept, str(tmp_path / "cp"))
+    events = spark.read.parquet(f"{SF}/events.parquet")
+    assert sorted(map(tuple, kept.rows().collect())) == sorted(map(tuple, views.delta_of(VIEW, events).collect()))
+    assert kept._ids("snapshot") == [3] and kept._ids("batch") == [4]
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    t = dt.datetime(2024, 1, 1)
+    schema = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+    folder = tmp_path / "dropped"
+    folder.mkdir()
+    for k, days in enumerate(([0, 20], [1, 2, 21], [3, 22])):
+        spark.createDataFrame([(10 * k + d, t + dt.timedelta(days=d), 1, "a", 1.0, "{}") for d in days], schema).coalesce(1).write.parquet(str(tmp_path / f"d{k}"))
+        shutil.copy(next((tmp_path / f"d{k}").glob("*.parquet")), folder / f"events{k}.parquet")
+    df = stream.windowed(stream.open_events(spark, str(folder)), "tumbling")
+    q = df.writeStream.format("memory").queryName("dropped").outputMode("append").option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert stream.dropped_late(q) == 3
+    assert sum(r["n"] for r in spark.table("dropped").collect()) <= 4
