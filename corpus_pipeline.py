@@ -3,6 +3,14 @@
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the last
 return the columns of `documents`.  `run` writes every stage's result to scratch
 space and reads it back for the next.
+
+Documents are passed on whole or not at all: no stage changes a value, and
+columns beyond those of `documents` are carried along whatever their names.
+Null, empty and letterless texts go at the language stage.  Very long texts are
+treated as whole texts everywhere.  Repeated rows (rows of one id) stay together
+or go together, except that only the least id of a group of near duplicates
+stays; rows with a null id stand for themselves there.  An empty table passes
+as an empty table, in every stage.
 """
 
 from __future__ import annotations
@@ -14,6 +22,8 @@ from runstore.llm import base, decontaminate, language_id, near_dup, piece_codec
 
 #: A document stays if its predicted language has at least this probability.
 LEAST_LANGUAGE_SCORE = 0.5
+#: Documents of at least this similarity (in per cent) are near duplicates; the bands follow it (`near_dup.bands_for`).
+NEAR_DUP_PERCENT = near_dup.PERCENT
 
 
 def with_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,7 +43,7 @@ def of_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates, that of the least id."""
     base.bounded_batches(spark)
-    return near_dup.deduplicate(docs)
+    return near_dup.deduplicate(docs, percent=NEAR_DUP_PERCENT)
 
 
 def uncontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
