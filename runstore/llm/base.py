@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import ctypes
 import math
-import uuid
 from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
@@ -14,6 +13,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from runstore.catalog import scratch_folder
+
 #: Bytes a broadcast may hold once counted; beyond it joins shuffle.
 BROADCAST_BYTES = 64 << 20
 #: Rows of one key that a join leaves to one task; keys with more are broadcast, and few by their number.
@@ -33,15 +34,8 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A new folder below the shared checkpoint folder.
-
-    The folder is the session's `spark.checkpoint.dir`; only where that is
-    unset (tests on one machine) a local one is taken.
-    """
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        root = "file:///tmp/checkpoints/runstore"
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    """A new folder below the shared checkpoint folder; it goes when the program ends."""
+    return scratch_folder(spark, name)
 
 
 def stored(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
