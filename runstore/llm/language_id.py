@@ -11,13 +11,18 @@ labelled rows: about `sample_docs` whole documents of each language, chosen by
 a hash of the id.  All else covers every row and the whole text.
 
 Words are runs of characters between blanks; only their letters count, in
-lower case, behind a word mark.  A word of more than `MAX_WORD` letters is
-scored in stretches of that length.  A letter outside the vocabulary costs the
-same in each language.  Distinct words are scored once per worker.
+lower case, behind a word mark.  Words and pieces may have any length: many
+words of up to `SHORT_WORD` letters are summed at once, a longer one (scripts
+without blanks) alone, in scaled numbers over a window of the longest piece.
+Pieces with capitals, digits or marks never occur in such words and are left
+out.  A letter outside the vocabulary costs the same in each language.
+Distinct words are scored once per worker.
 
 A null text, or one without a letter, gets `und` with score 0.  Null languages
 are not learned from; an empty training set gives `und` throughout.  Ties go to
-the alphabetically first language.  Ids may be null or repeated.
+the alphabetically first language.  Ids may be null or repeated.  Very long
+texts are scored some words at a time.  An empty table gives no rows.  Of the
+other columns, `lang_pred` and `score` are replaced and all others kept.
 """
 
 from __future__ import annotations
@@ -34,7 +39,10 @@ from pyspark.sql import functions as F
 from runstore.llm import base
 
 MARK = "▁"
-MAX_WORD, MAX_PIECE = 24, 8
+#: No vocabulary with longer pieces is taken.
+MAX_PIECE = 64
+#: Letters of words that are summed many at a time (their probabilities fit a double); longer ones are summed alone.
+SHORT_WORD = 32
 UNDETERMINED = "und"
 #: Probability of a letter that is in no piece, in any language.
 STRANGE = 1e-7
@@ -46,7 +54,7 @@ _BASE = np.uint64(0x9E3779B97F4A7C15)
 
 
 def _hashes(texts: list[str]) -> np.ndarray:
-    """Rolling hash of each text, of at most MAX_PIECE characters."""
+    """Rolling hash of each (short) text."""
     n = max(map(len, texts))
     codes = np.zeros((len(texts), n), np.uint64)
     for i, t in enumerate(texts):
@@ -68,7 +76,10 @@ class Vocabulary:
 
         lib = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path(model))
         pieces = [lib.id_to_piece(i) for i in range(lib.get_piece_size()) if not (lib.is_control(i) or lib.is_unknown(i) or lib.is_byte(i))]
-        self.pieces = [p for p in pieces if len(p) <= MAX_PIECE and p == p.lower() and all(c == MARK or c.isalpha() for c in p) and MARK not in p[1:]]
+        self.pieces = [p for p in pieces if p == p.lower() and all(c == MARK or c.isalpha() for c in p) and MARK not in p[1:]]
+        self.longest = max(map(len, self.pieces))
+        if self.longest > MAX_PIECE:
+            raise ValueError(f"a piece of {self.longest} characters")
         h = _hashes(self.pieces)
         order = np.argsort(h)
         self.hash, self.id = h[order], order.astype(np.int32)
@@ -101,7 +112,7 @@ class Lattice:
             prefix[k + 1] = prefix[k] * _BASE + codes[:, k] + np.uint64(1)
         power = [np.uint64(1)]
         with np.errstate(over="ignore"):
-            for _ in range(MAX_PIECE):
+            for _ in range(vocabulary.longest):
                 power.append(power[-1] * _BASE)
         self.words, self.sizes = len(marked), sizes
         #: Words of at least k characters.
@@ -111,7 +122,7 @@ class Lattice:
         self.lost: list[np.ndarray] = [np.zeros(0, int)]
         for end in range(1, n + 1):
             m = self.live[end]
-            for size in range(1, min(MAX_PIECE, end) + 1):
+            for size in range(1, min(vocabulary.longest, end) + 1):
                 ids = vocabulary.find(prefix[end, :m] - prefix[end - size, :m] * power[size])
                 at = np.flatnonzero(ids < none)
                 if size == 1:
@@ -163,6 +174,67 @@ class Lattice:
         return out
 
 
+class LongWord:
+    """All pieces in one word of any length; sums are scaled position by position, so that nothing vanishes."""
+
+    def __init__(self, word: str, vocabulary: Vocabulary):
+        codes = np.frombuffer((MARK + word).encode("utf-32-le"), "<u4").astype(np.uint64)
+        self.n, self.longest, none = len(codes), vocabulary.longest, len(vocabulary.pieces)
+        #: ids[end, size - 1]: number of the piece of that size that ends there; none + 1: of no piece.
+        self.ids = np.full((self.n + 1, self.longest), none + 1, np.int32)
+        h = np.zeros(self.n, np.uint64)
+        with np.errstate(over="ignore"):
+            for size in range(1, min(self.longest, self.n) + 1):
+                h = h[: self.n - size + 1] * _BASE + codes[size - 1 :] + np.uint64(1)
+                found = vocabulary.find(h)
+                found[found == none] = none if size == 1 else none + 1  # a letter outside is a piece of its own
+                self.ids[size:, size - 1] = found
+
+    def _chances(self, p: np.ndarray) -> np.ndarray:
+        """p with the strange letter's and no piece's probability below it."""
+        return np.concatenate([p, np.full((1, p.shape[1]), STRANGE), np.zeros((1, p.shape[1]))])
+
+    def forward(self, p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(scaled sums of each prefix, logarithm of the scale of each), per language."""
+        q, n, k = self._chances(p), self.n, self.longest
+        a, scale = np.zeros((n + 1, p.shape[1])), np.zeros((n + 1, p.shape[1]))
+        a[0] = 1.0
+        back = np.zeros((k, p.shape[1]))  # the last sums, newest first, in the newest one's scale
+        back[0] = 1.0
+        for end in range(1, n + 1):
+            v = np.einsum("ij,ij->j", back, q[self.ids[end]])
+            scale[end], a[end] = scale[end - 1] + np.log(v), 1.0
+            back[1:] = back[:-1] / v
+            back[0] = 1.0
+        return a, scale
+
+    def total(self, p: np.ndarray) -> np.ndarray:
+        """Log probability under each language."""
+        return self.forward(p)[1][self.n]
+
+    def expected(self, p: np.ndarray) -> np.ndarray:
+        """Expected counts of the pieces, under one language."""
+        q, n, k = self._chances(p[:, None])[:, 0], self.n, self.longest
+        _, up = self.forward(p[:, None])
+        up = up[:, 0]
+        down = np.zeros(n + 1)  # logarithms of the sums of each suffix
+        ahead = np.zeros(k)  # the next sums, nearest first, in the nearest one's scale
+        ahead[0] = 1.0
+        sizes = np.arange(k)
+        for at in range(n - 1, -1, -1):
+            ends = at + 1 + sizes
+            ok = ends <= n
+            v = float((ahead[ok] * q[self.ids[ends[ok], sizes[ok]]]).sum())
+            down[at] = down[at + 1] + np.log(v)
+            ahead[1:] = ahead[:-1] / v
+            ahead[0] = 1.0
+        out = np.zeros(len(q))
+        for size in range(1, min(k, n) + 1):
+            ids = self.ids[size:, size - 1]
+            np.add.at(out, ids, np.exp(up[: n - size + 1] + down[size:] - up[n]) * q[ids])
+        return out[: len(p)]
+
+
 @dataclass
 class Model:
     """Piece probabilities of each language, over the pieces of a public vocabulary."""
@@ -176,8 +248,16 @@ def letters(word: str) -> str:
     return word.lower() if word.isalpha() else "".join(filter(str.isalpha, word.lower()))
 
 
-def stretches(word: str) -> list[str]:
-    return [word[k : k + MAX_WORD] for k in range(0, len(word), MAX_WORD)]
+def log_chances(words: list[str], vocabulary: Vocabulary, p: np.ndarray) -> np.ndarray:
+    """Log probability of each of the (letters of) words under each language."""
+    out = np.zeros((len(words), p.shape[1]))
+    short = [k for k, w in enumerate(words) if len(w) <= SHORT_WORD]
+    for s in range(0, len(short), 20_000):
+        out[short[s : s + 20_000]] = Lattice([words[k] for k in short[s : s + 20_000]], vocabulary).totals(p)
+    for k, w in enumerate(words):
+        if len(w) > SHORT_WORD:
+            out[k] = LongWord(w, vocabulary).total(p)
+    return out
 
 
 def train(labelled: DataFrame, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id", vocabulary: str = "piece_bpe_32k.model", sample_docs: int = 400, rounds: int = 4, smooth: float = 0.05) -> Model:
@@ -198,7 +278,7 @@ def train(labelled: DataFrame, text_col: str = "text", lang_col: str = "lang", i
             found: Counter = Counter()
             for lang, text in zip(batch.column(0).to_pylist(), batch.column(1)):
                 for w, n in Counter(text.as_py().split()).items():
-                    for s in stretches(letters(w)):
+                    if s := letters(w):
                         found[lang, s] += n
             keys = list(found)
             yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.string()), pa.array(list(found.values()), pa.int64())], names=["l", "w", "n"])
@@ -206,11 +286,15 @@ def train(labelled: DataFrame, text_col: str = "text", lang_col: str = "lang", i
     words = sample.mapInArrow(count, "l string, w string, n long").groupBy("l", "w").agg(F.sum("n").alias("n")).toPandas()
     for k, lang in enumerate(languages):
         own = words[words["l"] == lang].sort_values("w")
+        long = own[own["w"].str.len() > SHORT_WORD]
+        own = own[own["w"].str.len() <= SHORT_WORD]
         counts, cells, q = own["n"].to_numpy(np.float64), [], p[:, k]
         for s in range(0, len(own), 50_000):
             cells.append((Lattice(own["w"].tolist()[s : s + 50_000], vocab), counts[s : s + 50_000]))
+        alone = [(LongWord(x, vocab), float(n)) for x, n in zip(long["w"], long["n"])]
         for _ in range(rounds):
             got = sum((lattice.expected(q, c) for lattice, c in cells), np.zeros(len(q))) + smooth
+            got = sum((n * x.expected(q) for x, n in alone), got)
             q = got / got.sum()
         p[:, k] = q
     return Model(vocabulary, languages, p)
@@ -237,17 +321,10 @@ class Scorer:
             index, new = self.index, list(dict.fromkeys(words))
         if new:
             plain = [letters(w) for w in new]
-            cut = [stretches(w) for w in plain]
-            distinct = list(dict.fromkeys(s for c in cut for s in c))
-            table = np.zeros((len(distinct) + 1, self.p.shape[1]))
-            for s in range(0, len(distinct), 20_000):
-                table[s : s + 20_000][: len(distinct) - s] = Lattice(distinct[s : s + 20_000], self.vocabulary).totals(self.p)
+            distinct = list(dict.fromkeys(filter(None, plain)))
+            table = np.concatenate([log_chances(distinct, self.vocabulary, self.p), np.zeros((1, self.p.shape[1]))])
             where = {s: k for k, s in enumerate(distinct)}
-            first = np.array([where[c[0]] if c else len(distinct) for c in cut])
-            got = table[first]
-            for k, c in enumerate(cut):
-                for s in c[1:]:
-                    got[k] += table[where[s]]
+            got = table[[where[w] if w else len(distinct) for w in plain]]
             n = len(index)
             while n + len(new) > len(self.scores):
                 self.scores = np.concatenate([self.scores, np.zeros_like(self.scores)])

@@ -36,6 +36,29 @@ def test_forward_sums_all_segmentations(vocab):
             assert got[k, lang] == pytest.approx(math.log(brute(w, vocab, p[:, lang])), rel=1e-9)
 
 
+def test_long_words_are_not_cut(vocab):
+    """A word summed alone equals the same word summed among others; no length loses pieces over a cut."""
+    rng = np.random.default_rng(5)
+    p = rng.random((len(vocab.pieces), 3))
+    p /= p.sum(0)
+    words = ["the", "internationalization", "xqzж", "ouvertureinformation", "étéü" * 8]
+    assert vocab.longest > 8 and any(len(x) == vocab.longest for x in vocab.pieces)
+    got = li.Lattice(words, vocab).totals(p)
+    for k, w in enumerate(words):
+        assert li.LongWord(w, vocab).total(p) == pytest.approx(got[k], rel=1e-9)
+    assert li.log_chances([*words, "the" * 400], vocab, p)[:-1] == pytest.approx(got)
+    long = li.log_chances(["there" * 3000, "there" * 6000], vocab, p)
+    assert np.isfinite(long).all() and long[1] == pytest.approx(2 * long[0], rel=0.01)
+
+
+def test_expected_counts_of_long_words(vocab):
+    rng = np.random.default_rng(6)
+    p = rng.random(len(vocab.pieces))
+    p /= p.sum()
+    for w in ("there", "internationalж"):
+        assert li.LongWord(w, vocab).expected(p) == pytest.approx(li.Lattice([w], vocab).expected(p, np.array([1.0])), abs=1e-9)
+
+
 def test_expected_counts(vocab):
     """Expected counts equal counts times the derivative of log probability by log piece probability."""
     rng = np.random.default_rng(4)
