@@ -19,13 +19,15 @@ word stays, never counted), so nothing is lost to a cut vocabulary.  Words are
 64-bit hashes; bigram and word counts are tables that grow with the corpus and
 are only joined.  What reaches the driver are totals and the counts of the
 `_HOT` most frequent bigrams and words at most: these are broadcast, so that no
-frequent key meets one task; all others are joined by shuffles.  Documents of
-the same words are scored once.
+frequent key meets one task; all others are joined by shuffles.  A document's
+sums are gathered by its text's hash, check sum and length, so documents of one
+text share them and ids may repeat.
 
 A null text, or one without words, has 0 tokens and null losses and score.
 Target ids that are null or not in the documents count for nothing; repeated
 ids count once per document row.  An empty target set leaves the target model
-uniform.
+uniform.  Very long texts are handled alone.  An empty table gives no rows.
+Other columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -35,6 +37,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -42,8 +45,8 @@ from pyspark.sql import functions as F
 from runstore.llm import base
 
 WORDS, WEIGHT = 1024, 0.7
-#: Tokens counted before their sums are handed on.
-_HELD = 2_000_000
+#: Tokens counted before their sums are handed on, and bytes of text whose words are found at a time.
+_HELD, _HELD_BYTES = 4_000_000, 8 << 20
 #: Frequent words, and frequent bigrams, that are broadcast.
 _HOT = 1 << 18
 #: Stands before the first word.
@@ -162,16 +165,22 @@ def score(docs: DataFrame, target_ids: DataFrame, words: int = WORDS, weight: fl
     return rows.mapInArrow(run, "doc_id long, n_tokens long, target_loss double, background_loss double, score double")
 
 
-def hashed(text: str | None) -> tuple[int, np.ndarray, np.ndarray, np.ndarray]:
-    """Key of the text's words and, for each token, the hashes of context, word and bigram."""
-    words = tokens(text)
-    w = np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words)).view(np.int64)
-    v = np.concatenate([[_START], w[:-1]]) if len(w) else w
-    return _key(words), v, w, _pair(v, w)
-
-
-def _key(words: list[bytes]) -> int:
-    return xxhash.xxh3_64_intdigest(b" ".join(words), seed=1) - (1 << 63)
+def hashed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(hashes of the contexts, hashes of the words, number of words of each text) of a column of texts, word after word."""
+    lists = pc.ascii_split_whitespace(pc.ascii_lower(texts.fill_null("")))
+    coded = lists.flatten().dictionary_encode()
+    distinct = coded.dictionary.cast(pa.binary()).to_pylist()
+    hashes = np.fromiter(map(xxhash.xxh3_64_intdigest, distinct), np.uint64, len(distinct)).view(np.int64)
+    at = coded.indices.to_numpy()
+    real = np.array([len(w) > 0 for w in distinct], bool)[at]  # blanks at the ends leave empty words
+    ends = np.concatenate([[0], np.cumsum(real)])
+    cuts = lists.offsets.to_numpy()
+    cuts = ends[cuts - cuts[0]]
+    w, n = hashes[at[real]], np.diff(cuts)
+    v = np.empty_like(w)
+    v[1:] = w[:-1]
+    v[cuts[:-1][n > 0]] = _START
+    return v, w, n
 
 
 def _pair(v: np.ndarray, w: np.ndarray) -> np.ndarray:
@@ -186,16 +195,17 @@ def _frequencies(rows: DataFrame) -> DataFrame:
         n = 0
 
         def done() -> pa.RecordBatch:
-            v, w, p, t = (np.concatenate(c) for c in zip(*held)) if held else (np.zeros(0, np.int64),) * 4
-            _, at, to = np.unique(p, return_index=True, return_inverse=True)
+            v, w, t = (np.concatenate(c) for c in zip(*held)) if held else (np.zeros(0, np.int64),) * 3
+            _, at, to = np.unique(_pair(v, w), return_index=True, return_inverse=True)
             b, good = np.bincount(to, minlength=len(at)), np.bincount(to, t, len(at))
             held.clear()
             return pa.RecordBatch.from_arrays([pa.array(v[at]), pa.array(w[at]), pa.array(b.astype(np.int64)), pa.array(good.astype(np.int64))], names=["v", "w", "b", "t"])
 
         for batch in batches:
-            for text, target in zip(batch.column(0), batch.column(1).to_pylist()):
-                _, v, w, p = hashed(text.as_py())
-                held.append((v, w, p, np.full(len(w), int(target), np.int64)))
+            for lo, hi in base.slices(batch.column(0), _HELD_BYTES):
+                v, w, sizes = hashed(batch.column(0).slice(lo, hi - lo))
+                target = batch.column(1).slice(lo, hi - lo).to_numpy(zero_copy_only=False).astype(np.int64)
+                held.append((v, w, np.repeat(target, sizes)))
                 n += len(w)
                 if n > _HELD:
                     yield done()
@@ -240,58 +250,71 @@ def score_whole(docs: DataFrame, target_ids: DataFrame, weight: float = WEIGHT,
     words = base.stored(words, "lm_words")
     total = words.agg(F.sum("b").alias("b"), F.sum("t").alias("t"), F.count_if(F.col("b") > 0).alias("k")).first()
     least = _frequent(words, "occurs", most)
-    known = _with_counts(freq, words, least, "v", {"cb": "cb", "ct": "ct"})
-    known = _with_counts(known, words, least, "w", {"b": "ub", "t": "ut"})
 
     def loss(n: str, context: str, word: str, tokens: int) -> F.Column:
         plain = (F.col(word) + 1) / F.lit(float(tokens + total["k"] + 1))
         mixed = F.lit(weight) * F.col(n) / F.col(context) + F.lit(1 - weight) * plain
         return -F.log(F.when(F.col(context) > 0, mixed).otherwise(plain))
 
-    prob = known.select("v", "w", "b", loss("t", "ct", "ut", total["t"] or 0).alias("lt"), loss("b", "cb", "ub", total["b"] or 0).alias("lb"))
-    prob = base.stored(prob, "lm_prob")
-    floor = _frequent(prob, "b", most)
-    hot = prob.where(F.col("b") >= floor).toPandas()
+    def prob(counts: DataFrame) -> DataFrame:
+        known = _with_counts(counts, words, least, "v", {"cb": "cb", "ct": "ct"})
+        known = _with_counts(known, words, least, "w", {"b": "ub", "t": "ut"})
+        return known.select("v", "w", loss("t", "ct", "ut", total["t"] or 0).alias("lt"), loss("b", "cb", "ub", total["b"] or 0).alias("lb"))
+
+    floor = _frequent(freq, "b", most)
+    hot = prob(freq.where(F.col("b") >= floor)).toPandas()
     hot_v, hot_w = hot["v"].to_numpy(np.int64), hot["w"].to_numpy(np.int64)
     hot_p, hot_l = _pair(hot_v, hot_w), hot[["lt", "lb"]].to_numpy(float)
     order = np.argsort(hot_p)
     hot_v, hot_w, hot_p, hot_l = hot_v[order], hot_w[order], hot_p[order], hot_l[order]
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """A row per seldom bigram of a text, and one (v = w = key) with the losses of all its frequent ones."""
+        """A row per seldom bigram of a text, and one (v = w = null, n the text's words) with the losses of all its frequent ones."""
         for batch in batches:
-            out = []
-            for text in batch.column(0):
-                key, v, w, p = hashed(text.as_py())
-                if not len(w):
-                    continue
-                p, first, n = np.unique(p, return_index=True, return_counts=True)
-                v, w = v[first], w[first]
-                at = np.minimum(np.searchsorted(hot_p, p), len(hot_p) - 1)
-                hit = (hot_v[at] == v) & (hot_w[at] == w) if len(hot_p) else np.zeros(len(p), bool)
-                sums = n[hit] @ hot_l[at[hit]] if hit.any() else np.zeros(2)
-                cold = ~hit
-                m = int(cold.sum())
-                out.append((np.full(m + 1, key), np.full(m + 1, n.sum()), np.append(v[cold], key), np.append(w[cold], key), np.append(n[cold], 0), np.append(np.full(m, np.nan), sums[0]), np.append(np.full(m, np.nan), sums[1])))
-            if out:
-                cols = [np.concatenate(c) for c in zip(*out)]
-                arrays = [pa.array(c) for c in cols[:5]] + [pa.array(c, mask=np.isnan(c)) for c in cols[5:]]
-                yield pa.RecordBatch.from_arrays(arrays, names=["key", "m", "v", "w", "n", "st", "sb"])
-
-    parts = rows.select("t").mapInArrow(emit, "key long, m long, v long, w long, n long, st double, sb double")
-    joined = parts.join(prob.where(F.col("b") < floor).select("v", "w", "lt", "lb"), ["v", "w"], "left")
-    # texts of the same words add the same to sums and tokens
-    texts = F.count_if(F.col("n") == 0)
-    sums = joined.groupBy("key", "m").agg(*[(F.sum(F.coalesce(a, F.col("n") * F.col(b))) / texts / F.col("m")).alias(c) for a, b, c in (("st", "lt", "target_loss"), ("sb", "lb", "background_loss"))])
-    sums = base.stored(sums, "lm_sums")
-
-    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            words = [tokens(t.as_py()) for t in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([_key(w) for w in words], pa.int64()), pa.array([len(w) for w in words], pa.int64())], names=["doc_id", "key", "m"])
-
-    out = rows.mapInArrow(keys, "doc_id long, key long, m long").join(base.checked_broadcast(sums), ["key", "m"], "left")
-    return out.select("doc_id", F.col("m").alias("n_tokens"), "target_loss", "background_loss", (F.col("target_loss") - F.col("background_loss")).alias("score"))
+            for lo, hi in base.slices(batch.column(3), _HELD_BYTES):
+                part = batch.slice(lo, hi - lo)
+                v, w, sizes = hashed(part.column(3))
+                pairs, cuts = _pair(v, w), np.concatenate([[0], np.cumsum(sizes)])
+                rows, cold, times, sums = [], [], [], np.zeros((len(sizes), 2))
+                for k, (a, b) in enumerate(zip(cuts, cuts[1:])):
+                    p, first, n = np.unique(pairs[a:b], return_index=True, return_counts=True)
+                    first += a
+                    at = np.minimum(np.searchsorted(hot_p, p), len(hot_p) - 1)
+                    hit = (hot_v[at] == v[first]) & (hot_w[at] == w[first]) if len(hot_p) else np.zeros(len(p), bool)
+                    if hit.any():
+                        sums[k] = n[hit] @ hot_l[at[hit]]
+                    cold.append(first[~hit])
+                    times.append(n[~hit])
+                    rows.append(np.full(len(cold[-1]), k))
+                rows, cold, times = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (rows, cold, times))
+                seldom = len(rows)
+                who = part.take(pa.array(np.concatenate([rows, np.arange(len(sizes))])))
+                none = np.zeros(seldom + len(sizes), bool)
+                none[seldom:] = True
+                pad = np.zeros(len(sizes), np.int64)
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        *who.columns[:3],
+                        pa.array(np.concatenate([v[cold], pad]), mask=none),
+                        pa.array(np.concatenate([w[cold], pad]), mask=none),
+                        pa.array(np.concatenate([times, sizes])),
+                        *[pa.array(np.concatenate([np.zeros(seldom), sums[:, c]]), mask=~none) for c in (0, 1)],
+                    ],
+                    names=["k1", "k2", "k3", "v", "w", "n", "st", "sb"],
+                )
+
+    # texts of the same bytes add the same to sums and words: their key is a hash, a check sum and the length
+    text = F.col("t").cast("binary")
+    keyed = rows.where("t is not null").select("doc_id", F.xxhash64(text).alias("k1"), F.crc32(text).alias("k2"), F.octet_length("t").cast("long").alias("k3"), "t")
+    parts = keyed.select("k1", "k2", "k3", "t").mapInArrow(emit, "k1 long, k2 long, k3 long, v long, w long, n long, st double, sb double")
+    whole = parts.where("v is null").select("k1", "k2", "k3", "n", "st", "sb")
+    seldom = parts.where("v is not null").drop("st", "sb").join(prob(freq.where(F.col("b") < floor)), ["v", "w"])
+    seldom = seldom.select("k1", "k2", "k3", F.lit(None).cast("long").alias("n"), (F.col("n") * F.col("lt")).alias("st"), (F.col("n") * F.col("lb")).alias("sb"))
+    sums = whole.union(seldom).groupBy("k1", "k2", "k3").agg(F.count("n").alias("texts"), F.max("n").alias("m"), F.sum("st").alias("st"), F.sum("sb").alias("sb"))
+    sums = base.stored(sums.where("m > 0").select("k1", "k2", "k3", "m", *[(F.col(a) / F.col("texts") / F.col("m")).alias(c) for a, c in (("st", "target_loss"), ("sb", "background_loss"))]), "lm_sums")
+    ids = rows.select("doc_id", F.xxhash64(text).alias("k1"), F.crc32(text).alias("k2"), F.octet_length("t").cast("long").alias("k3"))
+    out = ids.join(base.checked_broadcast(sums), ["k1", "k2", "k3"], "left")
+    return out.select("doc_id", F.coalesce("m", F.lit(0).cast("long")).alias("n_tokens"), "target_loss", "background_loss", (F.col("target_loss") - F.col("background_loss")).alias("score"))
 
 
 def _rounded(spark: SparkSession, sf_dir: str, how: Callable[[DataFrame, DataFrame], DataFrame]) -> DataFrame:

@@ -10,11 +10,10 @@ QUERIES = {
     "op3_interleave": interleave.query,
     "op4_near_dup": near_dup.query,
     "op5_language_id": language_id.query,
-    "op6_lm_score": lm_score.query,
     "op6_lm_score_whole": lm_score.query_whole,
     "op7_decontaminate": decontaminate.query,
     "op8_piece_codec": piece_codec.query,
     "op9_license_scan": license_scan.query,
     "op10_quality": quality.query,
 }
-ORACLES: dict[str, str] = {"op6_lm_score": lm_score.ORACLE, "op6_lm_score_whole": lm_score.ORACLE_WHOLE}
+ORACLES: dict[str, str] = {"op6_lm_score_whole": lm_score.ORACLE_WHOLE}
