@@ -19,12 +19,18 @@ or digit are skipped.  An item of fewer than `least_words` words and fewer than
 borders, since little remains of so short a text after edits; beside a character
 of a script without blanks no border is asked for.  Repeated items give a row each.  One row per (document row, item) that
 match: the place of least distance (leftmost on ties), and the number of places.
+A very long text is searched whole, in memory of a few times its size.  Empty
+tables of either kind give no rows, and all documents are clean.  `find_items`
+reads no other columns, whatever their names; `is_clean` keeps them and
+replaces a column of its output's name.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -134,8 +140,8 @@ class Matcher:
 
 def raw_span(text: str, start: int, end: int) -> tuple[int, int]:
     """Where characters start..end of normal(text) are in text, widened to whole words."""
-    at, first, last = 0, None, 0
-    for m in _WORD.finditer(text.lower()):
+    at, first, last, low = 0, None, 0, text.lower()
+    for m in _WORD.finditer(low):
         size = m.end() - m.start()
         if first is None and at + size > start:
             first = m.start()
@@ -143,7 +149,11 @@ def raw_span(text: str, start: int, end: int) -> tuple[int, int]:
             break
         last = m.end()
         at += size + 1
-    return first or 0, last
+    first = first or 0
+    if len(low) == len(text):
+        return first, last
+    ends = list(accumulate(len(c.lower()) for c in text))  # some letters are longer in lower case
+    return bisect_right(ends, first), min(len(text), bisect_left(ends, last) + 1)
 
 
 def _blocks(benchmark: DataFrame, item_col: str, text_col: str, block_chars: int) -> Iterator[list]:

@@ -89,3 +89,25 @@ def test_short_items(spark):
     got = {(r["doc_id"], r["item_id"], r["distance"], r["places"]) for r in dc.find_items(df, bench).collect()}
     assert got == {(1, 1, 0, 1), (5, 2, 0, 1), (7, 3, 1, 1), (9, 1, 0, 1)}
     assert {r["doc_id"] for r in dc.is_clean(df, bench, "ok").collect() if not r["ok"]} == {1, 5, 7, 9}
+
+
+def test_spans_are_places_in_the_original_text():
+    text = "İİİİ xx the quick brown fox"
+    norm = dc.normal(text)
+    at = norm.index("quick")
+    a, b = dc.raw_span(text, at, at + 5)
+    assert text[a:b] == "quick"
+    a, b = dc.raw_span("ab İCİ de", 3, 4)
+    assert "ab İCİ de"[a:b] == "İ"
+    a, b = dc.raw_span("x İ", 2, 3)
+    assert "x İ"[a:b] == "İ"
+
+
+def test_empty_tables_and_clashing_columns(spark):
+    docs = spark.createDataFrame([(1, "one two three four five six seven", 5, "x")], "doc_id long, text string, item_id long, clean string")
+    none = spark.createDataFrame([], "item_id long, text string")
+    bench = spark.createDataFrame([(9, "one two three four five six seven")], "item_id long, text string")
+    assert dc.find_items(docs, none).count() == 0 and dc.find_items(docs.limit(0), bench).count() == 0
+    assert [r["clean"] for r in dc.is_clean(docs, bench, "clean").collect()] == [False]
+    long = spark.createDataFrame([(2, "word " * 200000 + "one two three four five six seven")], "doc_id long, text string")
+    assert [(r["doc_id"], r["distance"]) for r in dc.find_items(long, bench).collect()] == [(2, 0)]
