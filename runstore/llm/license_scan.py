@@ -16,21 +16,26 @@ are picked so that over 1 - containment of its shingles hold a picked one; a
 window without any picked word is below the containment, and a document whose
 text does not contain one as a substring is not split at all.
 
-Templates are few and fixed (a constant below, or a frame whose rows are
-counted against `MOST_TEMPLATES`), so they are broadcast.  Documents are not
-shuffled; only verified matches are grouped.
+Templates are a constant below, a list, or a frame (license, text) of any size.
+They are taken `MOST_TEMPLATES` at a time, so that what is broadcast is bounded;
+documents are read once for each such block.  Documents are not shuffled; only
+verified matches are grouped.
 
 A null or empty text has no match.  A template of fewer than five words is one
 shingle of all its words and is found where they stand in a row.  One row per
 (document id, license): best containment, first word of the best window (the
 earliest on ties), windows that match.  Rows with a null id are reported
-together under the null id; repeated ids likewise.
+together under the null id; repeated ids likewise.  Of a very long text only the
+windows around marked words are made, each a row of its own.  Empty tables of
+either kind give no rows.  Other columns, whatever their names, are not read.
 """
 
 from __future__ import annotations
 
 import math
 import re
+from collections.abc import Iterator
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -120,8 +125,6 @@ def _windows(width: int, k: int) -> Column:
 
 def template_frame(spark: SparkSession, templates: list[tuple[str, str]], bands: int) -> DataFrame:
     """Rows (license, width, k, shingles, keys), made by the same expressions as the documents'."""
-    if len(templates) > MOST_TEMPLATES:
-        raise ValueError("too many templates to broadcast")
     rows = [(name, width_class(len(words_of(t))), min(SHINGLE, len(words_of(t))), " ".join(words_of(t))) for name, t in templates if words_of(t)]
     structs = [F.struct(F.lit(a).alias("license"), F.lit(b).alias("width"), F.lit(c).alias("k"), F.lit(d).alias("t")) for a, b, c, d in rows]
     t = spark.range(1).select(F.explode(F.array(*structs)).alias("x")).select("x.*")
@@ -130,13 +133,33 @@ def template_frame(spark: SparkSession, templates: list[tuple[str, str]], bands:
     return t.withColumn("keys", _band_keys(F.col("wanted"), bands))
 
 
-def scan(docs: DataFrame, templates: list[tuple[str, str]] | None = None, containment: float = CONTAINMENT, bands: int = BANDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _taken(templates: DataFrame | list[tuple[str, str]] | None) -> Iterator[list[tuple[str, str]]]:
+    """Templates with a word, in blocks of bounded size."""
+    if isinstance(templates, DataFrame):
+        t = templates.select(F.col(templates.columns[0]).cast("string").alias("a"), F.col(templates.columns[1]).alias("b")).where("b is not null")
+        n = math.ceil(t.count() / MOST_TEMPLATES)
+        for k in range(n):
+            yield [(r["a"], r["b"]) for r in t.where(F.pmod(F.xxhash64("a", "b"), F.lit(n)) == k).collect() if words_of(r["b"])]
+    else:
+        known = [(a, b) for a, b in (TEMPLATES if templates is None else templates) if words_of(b)]
+        for k in range(0, len(known), MOST_TEMPLATES):
+            yield known[k : k + MOST_TEMPLATES]
+
+
+def scan(docs: DataFrame, templates: DataFrame | list[tuple[str, str]] | None = None, containment: float = CONTAINMENT, bands: int = BANDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows (doc_id, license, containment, first_word, windows) of documents that hold a license text."""
-    templates = [(a, b) for a, b in (TEMPLATES if templates is None else templates) if words_of(b)]
+    blocks = [_matches(docs, block, containment, bands, id_col, text_col) for block in _taken(templates) if block]
+    if not blocks:
+        return docs.sparkSession.createDataFrame([], "doc_id long, license string, containment double, first_word int, windows long")
+    got = reduce(DataFrame.union, blocks).groupBy("doc_id", "license", "width", "start").agg(F.max("share").alias("share"))
+    best = F.max(F.struct(F.col("share"), (-F.col("start")).alias("first")))
+    got = got.groupBy("doc_id", "license").agg(best.alias("best"), F.count("*").alias("windows"))
+    return got.select("doc_id", "license", F.col("best.share").alias("containment"), (-F.col("best.first")).alias("first_word"), "windows")
+
+
+def _matches(docs: DataFrame, templates: list[tuple[str, str]], containment: float, bands: int, id_col: str, text_col: str) -> DataFrame:
+    """Rows (doc_id, license, width, start, share) of windows that hold a template of a block."""
     spark = docs.sparkSession
-    schema = "doc_id long, license string, containment double, first_word int, windows long"
-    if not templates:
-        return spark.createDataFrame([], schema)
     picked = picked_words(templates, containment)
     lower = F.lower(F.col(text_col))
     may = F.lit(False)
@@ -157,11 +180,7 @@ def scan(docs: DataFrame, templates: list[tuple[str, str]] | None = None, contai
     t = template_frame(spark, templates, bands).select("license", F.col("width").alias("tw"), F.col("k").alias("tk"), "wanted", F.explode("keys").alias("tkey"))
     got = keyed.join(F.broadcast(t), (F.col("key") == F.col("tkey")) & (F.col("width") == F.col("tw")) & (F.col("k") == F.col("tk")))
     share = F.size(F.array_intersect("wanted", "shingles")) / F.size("wanted")
-    got = got.select("doc_id", "license", "width", "start", share.alias("share")).where(F.col("share") >= containment)
-    got = got.groupBy("doc_id", "license", "width", "start").agg(F.max("share").alias("share"))
-    best = F.max(F.struct(F.col("share"), (-F.col("start")).alias("first")))
-    got = got.groupBy("doc_id", "license").agg(best.alias("best"), F.count("*").alias("windows"))
-    return got.select("doc_id", "license", F.col("best.share").alias("containment"), (-F.col("best.first")).alias("first_word"), "windows")
+    return got.select("doc_id", "license", "width", "start", share.alias("share")).where(F.col("share") >= containment)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
