@@ -10,8 +10,10 @@ positive-versus-unlabelled fit: the least ratio, over thresholds, of the
 unlabelled share above a threshold to the positives' share above it.
 
 Two networks are fitted on the two halves of the samples and their logits
-averaged.  Each scores the other half's positives, and all logits are shifted
-so that CUT keeps all but LOST of those, whatever the prior's error.
+averaged.  Each scores the other half's positives, and all logits are shifted so
+that CUT keeps all but LOST of those: the shift is a calibration.  The estimated
+prior shapes the networks, hence the order of the scores, but where the cut
+falls in that order is set by the held-back positives and not by the prior.
 
 Fitting uses bounded samples (`sample` positives and as many unlabelled rows,
 chosen by a hash of the id); features and scores cover whole texts of all rows.
@@ -19,7 +21,10 @@ chosen by a hash of the id); features and scores cover whole texts of all rows.
 Features are counts of character classes, line and word shapes and repetition,
 computed from bytes.  A null or empty text has the features of no text and gets
 a score like any other.  Labels of null quality are ignored; without a positive
-every score is 0.5.  Ids may be null or repeated.
+every score is 0.5.  Ids may be null or repeated.  Texts of equal features tie;
+a score at the cut is accepted.  A very long text is one array of its bytes.  An
+empty table gives no rows.  Other columns are kept, a column of the score's name
+is replaced.
 """
 
 from __future__ import annotations
@@ -106,6 +111,25 @@ def _forward(w: list[np.ndarray], x: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return h @ w[2] + w[3], h
 
 
+def negative_risk(z: np.ndarray, is_p: np.ndarray, prior: float) -> float:
+    """Estimated risk of negatives: that of unlabelled text taken as negative, less what positives contribute to it."""
+    return float(np.logaddexp(0, z[~is_p]).mean() - prior * np.logaddexp(0, z[is_p]).mean())
+
+
+def slopes(z: np.ndarray, is_p: np.ndarray, prior: float | None) -> np.ndarray:
+    """Step direction for each logit: the derivative of the risk, or away from overfitting where its negative part is below zero.
+
+    Losses are logistic: of +1, log(1 + e^-z), slope s - 1; of -1, log(1 + e^z), slope s.
+    """
+    s, n_p, n_u = _sigmoid(z), is_p.sum(), (~is_p).sum()
+    if prior is None:
+        return np.where(is_p, (s - 1) / n_p, s / n_u)
+    pull = np.where(is_p, -prior * s / n_p, s / n_u)
+    if negative_risk(z, is_p, prior) < 0:
+        return -pull
+    return np.where(is_p, prior * (s - 1) / n_p, 0) + pull
+
+
 def _fit(xp: np.ndarray, xu: np.ndarray, prior: float | None, steps: int, hidden: int, seed: int) -> list[np.ndarray]:
     """Minimise the non-negative PU risk; with prior None, the plain risk of P versus U."""
     rng = np.random.default_rng(seed)
@@ -118,15 +142,7 @@ def _fit(xp: np.ndarray, xu: np.ndarray, prior: float | None, steps: int, hidden
         x = np.concatenate([p, u])
         x = x + rng.normal(0, 0.2, x.shape)  # small samples are not to be learned by heart
         z, h = _forward(w, x)
-        s = _sigmoid(z)
-        is_p = np.arange(2 * size) < size
-        if prior is None:
-            g = np.where(is_p, s - 1, s) / size
-        else:
-            # logistic losses: of +1, log(1 + e^-z), slope s - 1; of -1, log(1 + e^z), slope s
-            negative = np.logaddexp(0, z[~is_p]).mean() - prior * np.logaddexp(0, z[is_p]).mean()
-            pull = np.where(is_p, -prior * s, s) / size
-            g = np.where(is_p, prior * (s - 1), 0) / size + pull if negative >= 0 else -pull
+        g = slopes(z, np.arange(2 * size) < size, prior)
         dh = np.outer(g, w[2]) * (1 - h * h)
         grads = [x.T @ dh + 1e-4 * w[0], dh.sum(0), h.T @ g + 1e-4 * w[2], np.array([g.sum()])]
         rate = 0.01 * (1 - 0.9 * t / steps)
