@@ -35,3 +35,41 @@ def test_columns(spark):
     docs = base.table(spark, "/root/testdata/sf0.001", "documents")
     for _, stage in cp.STAGES[:-1]:
         assert stage(spark, docs, "/root/testdata/sf0.001").columns == docs.columns
+
+
+ODD = "doc_id long, text string, lang string, source string, n_chars long, node long, score double, lang_pred string, band string, t string, component_id int, ids string"
+
+
+def odd_rows():
+    words = "the people and their work in the house of the old town were there for a long time before the others came".split()
+    text = " ".join(words * 6)
+    rows = [(1, None), (2, ""), (3, " \n"), (4, text), (4, text), (5, text), (6, "12 34 !!"), (None, text + " end"), (None, None), (7, " ".join(words * 6000)), (8, "a" * 300000)]
+    return [(d, x, None, "s", None, 1, 0.5, "zz", None, "t", 3, None) for d, x in rows]
+
+
+def test_stages_on_odd_rows(spark):
+    """Nulls in any column, empty and very long texts, ties, repeated rows, clashing extra columns: no crash, and rows pass unchanged."""
+    d = "/root/testdata/sf0.001"
+    docs = spark.createDataFrame(odd_rows(), ODD)
+    known = base.table(spark, d, "documents")
+    mixed = docs.unionByName(known, allowMissingColumns=True)
+    given = {tuple(r) for r in mixed.collect()}
+    for name, stage in cp.STAGES[:-1]:
+        out = stage(spark, mixed, d)
+        rows = [tuple(r) for r in out.collect()]
+        assert out.columns == mixed.columns and set(rows) <= given, name
+        if name == "language_id":
+            assert not [r for r in rows if r[0] in (1, 2, 3, 6)] and len([r for r in rows if r[0] == 4]) == 2
+        if name == "near_dup":
+            assert len([r for r in rows if r[0] == 4]) == 2 and not [r for r in rows if r[0] == 5] and len([r for r in rows if r[0] is None]) == 2
+        if name == "decontaminate":
+            assert [r for r in rows if r[0] == 1]
+    last = cp.tokenized(spark, docs, d).collect()
+    assert len(last) == len(odd_rows()) and {r["n_tokens"] for r in last if r["doc_id"] in (1, 2)} == {2}
+
+
+def test_stages_on_an_empty_table(spark):
+    d = "/root/testdata/sf0.001"
+    none = base.table(spark, d, "documents").limit(0)
+    for _, stage in cp.STAGES:
+        assert stage(spark, none, d).count() == 0
