@@ -46,7 +46,7 @@ from runstore.llm import base
 
 WORDS, WEIGHT = 1024, 0.7
 #: Tokens counted before their sums are handed on, and bytes of text whose words are found at a time.
-_HELD, _HELD_BYTES = 4_000_000, 8 << 20
+_HELD, _HELD_BYTES = 1_000_000, 2 << 20
 #: Frequent words, and frequent bigrams, that are broadcast.
 _HOT = 1 << 18
 #: Stands before the first word.
