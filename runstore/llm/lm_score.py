@@ -20,8 +20,8 @@ word stays, never counted), so nothing is lost to a cut vocabulary.  Words are
 are only joined.  What reaches the driver are totals and the counts of the
 `_HOT` most frequent bigrams and words at most: these are broadcast, so that no
 frequent key meets one task; all others are joined by shuffles.  A document's
-sums are gathered by its text's hash, check sum and length, so documents of one
-text share them and ids may repeat.
+sums are gathered by a number of its own (partition and place in it, the same
+whenever a task runs again), so ids may be null or repeat.
 
 A null text, or one without words, has 0 tokens and null losses and score.
 Target ids that are null or not in the documents count for nothing; repeated
@@ -269,12 +269,15 @@ def score_whole(docs: DataFrame, target_ids: DataFrame, weight: float = WEIGHT,
     hot_v, hot_w, hot_p, hot_l = hot_v[order], hot_w[order], hot_p[order], hot_l[order]
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """A row per seldom bigram of a text, and one (v = w = null, n the text's words) with the losses of all its frequent ones."""
+        """A row per seldom bigram of a document, and one (v = w = its number here) with its id, words and the losses of all its frequent bigrams."""
+        from pyspark import TaskContext
+
+        number = TaskContext.get().partitionId() << 40
         for batch in batches:
-            for lo, hi in base.slices(batch.column(3), _HELD_BYTES):
-                part = batch.slice(lo, hi - lo)
-                v, w, sizes = hashed(part.column(3))
-                pairs, cuts = _pair(v, w), np.concatenate([[0], np.cumsum(sizes)])
+            for lo, hi in base.slices(batch.column(1), _HELD_BYTES):
+                v, w, sizes = hashed(batch.column(1).slice(lo, hi - lo))
+                pairs, cuts, docs = _pair(v, w), np.concatenate([[0], np.cumsum(sizes)]), number + np.arange(len(sizes))
+                number += len(sizes)
                 rows, cold, times, sums = [], [], [], np.zeros((len(sizes), 2))
                 for k, (a, b) in enumerate(zip(cuts, cuts[1:])):
                     p, first, n = np.unique(pairs[a:b], return_index=True, return_counts=True)
@@ -285,36 +288,31 @@ def score_whole(docs: DataFrame, target_ids: DataFrame, weight: float = WEIGHT,
                         sums[k] = n[hit] @ hot_l[at[hit]]
                     cold.append(first[~hit])
                     times.append(n[~hit])
-                    rows.append(np.full(len(cold[-1]), k))
+                    rows.append(np.full(len(cold[-1]), docs[k]))
                 rows, cold, times = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (rows, cold, times))
                 seldom = len(rows)
-                who = part.take(pa.array(np.concatenate([rows, np.arange(len(sizes))])))
                 none = np.zeros(seldom + len(sizes), bool)
-                none[seldom:] = True
-                pad = np.zeros(len(sizes), np.int64)
+                none[:seldom] = True
                 yield pa.RecordBatch.from_arrays(
                     [
-                        *who.columns[:3],
-                        pa.array(np.concatenate([v[cold], pad]), mask=none),
-                        pa.array(np.concatenate([w[cold], pad]), mask=none),
+                        pa.array(np.concatenate([rows, docs])),
+                        pa.concat_arrays([pa.nulls(seldom, pa.int64()), batch.column(0).slice(lo, hi - lo)]),
+                        pa.array(np.concatenate([v[cold], docs])),
+                        pa.array(np.concatenate([w[cold], docs])),
                         pa.array(np.concatenate([times, sizes])),
-                        *[pa.array(np.concatenate([np.zeros(seldom), sums[:, c]]), mask=~none) for c in (0, 1)],
+                        *[pa.array(np.concatenate([np.zeros(seldom), sums[:, c]]), mask=none) for c in (0, 1)],
                     ],
-                    names=["k1", "k2", "k3", "v", "w", "n", "st", "sb"],
+                    names=["number", "doc_id", "v", "w", "n", "st", "sb"],
                 )
 
-    # texts of the same bytes add the same to sums and words: their key is a hash, a check sum and the length
-    text = F.col("t").cast("binary")
-    keyed = rows.where("t is not null").select("doc_id", F.xxhash64(text).alias("k1"), F.crc32(text).alias("k2"), F.octet_length("t").cast("long").alias("k3"), "t")
-    parts = keyed.select("k1", "k2", "k3", "t").mapInArrow(emit, "k1 long, k2 long, k3 long, v long, w long, n long, st double, sb double")
-    whole = parts.where("v is null").select("k1", "k2", "k3", "n", "st", "sb")
-    seldom = parts.where("v is not null").drop("st", "sb").join(prob(freq.where(F.col("b") < floor)), ["v", "w"])
-    seldom = seldom.select("k1", "k2", "k3", F.lit(None).cast("long").alias("n"), (F.col("n") * F.col("lt")).alias("st"), (F.col("n") * F.col("lb")).alias("sb"))
-    sums = whole.union(seldom).groupBy("k1", "k2", "k3").agg(F.count("n").alias("texts"), F.max("n").alias("m"), F.sum("st").alias("st"), F.sum("sb").alias("sb"))
-    sums = base.stored(sums.where("m > 0").select("k1", "k2", "k3", "m", *[(F.col(a) / F.col("texts") / F.col("m")).alias(c) for a, c in (("st", "target_loss"), ("sb", "background_loss"))]), "lm_sums")
-    ids = rows.select("doc_id", F.xxhash64(text).alias("k1"), F.crc32(text).alias("k2"), F.octet_length("t").cast("long").alias("k3"))
-    out = ids.join(base.checked_broadcast(sums), ["k1", "k2", "k3"], "left")
-    return out.select("doc_id", F.coalesce("m", F.lit(0).cast("long")).alias("n_tokens"), "target_loss", "background_loss", (F.col("target_loss") - F.col("background_loss")).alias("score"))
+    parts = rows.mapInArrow(emit, "number long, doc_id long, v long, w long, n long, st double, sb double")
+    joined = parts.join(prob(freq.where(F.col("b") < floor)), ["v", "w"], "left")
+    words_of = F.max(F.when(F.col("st").isNotNull(), F.col("n")))
+    of = [F.sum(F.coalesce(a, F.col("n") * F.col(b))) for a, b in (("st", "lt"), ("sb", "lb"))]
+    out = joined.groupBy("number").agg(F.max("doc_id").alias("doc_id"), words_of.alias("n_tokens"), of[0].alias("lt"), of[1].alias("lb"))
+    mean = [F.when(F.col("n_tokens") > 0, F.col(c) / F.col("n_tokens")) for c in ("lt", "lb")]
+    out = out.select("doc_id", "n_tokens", mean[0].alias("target_loss"), mean[1].alias("background_loss"))
+    return out.withColumn("score", F.col("target_loss") - F.col("background_loss"))
 
 
 def _rounded(spark: SparkSession, sf_dir: str, how: Callable[[DataFrame, DataFrame], DataFrame]) -> DataFrame:
