@@ -47,7 +47,7 @@ UNDETERMINED = "und"
 #: Probability of a letter that is in no piece, in any language.
 STRANGE = 1e-7
 #: Words a worker remembers with their scores.
-CACHE_WORDS = 250_000
+CACHE_WORDS = 150_000
 #: Words looked up at a time.
 HELD_WORDS = 100_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)

@@ -54,3 +54,13 @@ def test_plan_is_native(spark):
 def test_empty(spark):
     df = spark.createDataFrame([], "doc_id long, text string")
     assert ls.scan(df).count() == 0 and ls.scan(df, []).count() == 0
+
+
+def test_templates_from_a_frame_in_blocks(spark, monkeypatch):
+    docs = [(k, f"some words before {t} and some after it") for k, (_, t) in enumerate(ls.TEMPLATES)] + [(100, "nothing of the kind"), (101, None)]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    want = sorted(map(tuple, ls.scan(df).collect()))
+    monkeypatch.setattr(ls, "MOST_TEMPLATES", 5)
+    frame = spark.createDataFrame([*ls.TEMPLATES, ("none", None), ("marks", "!!")], "license string, text string")
+    assert sorted(map(tuple, ls.scan(df, frame).collect())) == sorted(map(tuple, ls.scan(df, list(ls.TEMPLATES)).collect())) == want
+    assert ls.scan(df, frame.limit(0)).count() == 0
