@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import json
+import time
 import uuid
 from collections.abc import Callable
 from typing import Any
@@ -29,6 +30,9 @@ SCHEMAS = {
 }
 
 
+#: Files of a table are looked at again after so many seconds.
+LOOK_SECONDS = 10.0
+
 _scratch: list[tuple[SparkSession, str]] = []
 
 
@@ -87,9 +91,10 @@ class Catalog:
     def __init__(self, spark: SparkSession, sf_dir: str):
         self.spark, self.sf_dir, self._made = spark, sf_dir, {}
         self.root = scratch_folder(spark, "catalog")
-        #: Number of changes of each table that were made through `maintain` (plans/maintain.py).
+        #: Number of times each table was replaced.
         self.versions: dict[str, int] = {}
         self._tables: dict[str, DataFrame] = {}
+        self._listed: dict[str, tuple[float, tuple]] = {}
 
     def table(self, name: str) -> DataFrame:
         if name in self._tables:
@@ -103,14 +108,16 @@ class Catalog:
 
     def signature(self, tables: tuple[str, ...]) -> tuple:
         """What changes when one of the tables does: its number of replacements, its files' lengths and times."""
-        out = []
-        for name in tables:
-            files = ()
-            if name in SCHEMAS and name not in self._tables:
-                fs, at = file_system(self.spark, f"{self.sf_dir}/{name}.parquet")
-                files = tuple(sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in fs.listStatus(at))) if fs.exists(at) else ()
-            out.append((name, self.versions.get(name, 0), files))
-        return tuple(out)
+        return tuple((name, self.versions.get(name, 0), self._files(name) if name in SCHEMAS and name not in self._tables else ()) for name in tables)
+
+    def _files(self, name: str) -> tuple:
+        """(name, length, time) of a table's files; listed again after `LOOK_SECONDS`."""
+        seen = self._listed.get(name)
+        if seen is None or time.monotonic() - seen[0] > LOOK_SECONDS:
+            fs, at = file_system(self.spark, f"{self.sf_dir}/{name}.parquet")
+            files = tuple(sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in fs.listStatus(at))) if fs.exists(at) else ()
+            seen = self._listed[name] = (time.monotonic(), files)
+        return seen[1]
 
     def made(self, key: Any, build: Callable[[], Any]) -> Any:
         """What build gives, made once as long as the tables it is made of do not change.
