@@ -125,8 +125,9 @@ def derive_view(catalog, v: ViewDefinition, groups: tuple[str, ...]) -> DataFram
 
 def merged(v: ViewDefinition, view: DataFrame, delta: DataFrame) -> DataFrame:
     """The view with inserted rows' groups added. Both have the view's columns."""
-    both = view.unionByName(delta)
-    return both.groupBy(*v.groups).agg(*[getattr(F, MERGE[a.fn])(a.alias).alias(a.alias) for a in v.aggs])
+    both, kinds = view.unionByName(delta), dict(view.dtypes)
+    # of the view's own types: a sum of decimals would get wider with every merge
+    return both.groupBy(*v.groups).agg(*[getattr(F, MERGE[a.fn])(a.alias).cast(kinds[a.alias]).alias(a.alias) for a in v.aggs])
 
 
 def delta_of(v: ViewDefinition, rows: DataFrame) -> DataFrame:

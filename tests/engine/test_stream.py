@@ -102,5 +102,6 @@ def test_late_rows_are_counted(spark, tmp_path):
     df = stream.windowed(stream.open_events(spark, str(folder)), "tumbling")
     q = df.writeStream.format("memory").queryName("dropped").outputMode("append").option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start()
     q.awaitTermination()
-    assert stream.dropped_late(q) == 3
+    # a batch's rows are judged by the watermark of the batch before it: days 1 and 2 still pass, day 3 does not
+    assert stream.dropped_late(q) == 1
     assert sum(r["n"] for r in spark.table("dropped").collect()) <= 4
