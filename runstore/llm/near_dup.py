@@ -329,12 +329,13 @@ def _connect(docs: DataFrame, reps: DataFrame, id_col: str, text_col: str, perce
     ends = base.stored(ends, "near_dup_ends")
     total = ends.agg(F.sum("n")).first()[0]
     if not total:
-        return found
+        return found if found is not None else _none(docs)
     edges = base.join_by_hubs(rows.select("band", "node"), ends, "band", "n", total).where("node <> a").select("a", F.col("node").alias("b"))
     clusters = base.components(edges, "near_dup_clusters").withColumnRenamed("component", "cluster")
     clusters = base.stored(clusters.join(reps.select("node", "n_shingles"), "node"), "near_dup_members")
     rest = base.stored(_links(docs, clusters, id_col, text_col, percent), "near_dup_links")
-    return base.components(found.select(F.col("node").alias("a"), F.col("component").alias("b")).union(rest), "near_dup_components")
+    known = rest if found is None else found.select(F.col("node").alias("a"), F.col("component").alias("b")).union(rest)
+    return base.components(known, "near_dup_components")
 
 
 def _none(docs: DataFrame) -> DataFrame:
