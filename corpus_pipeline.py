@@ -30,8 +30,10 @@ def with_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     """Documents of a language that can be told; texts without a letter go."""
     base.bounded_batches(spark)
     model = language_id.train(docs.where(language_id.fold("doc_id", 3) != 1))
-    got = language_id.identify(docs, model)
-    return got.where((F.col("lang_pred") != language_id.UNDETERMINED) & (F.col("score") >= LEAST_LANGUAGE_SCORE)).select(*docs.columns)
+    own = {c: f"__own_{c}" for c in docs.columns if c in ("lang_pred", "score")}  # the operator would replace them
+    got = language_id.identify(docs.withColumnsRenamed(own), model)
+    kept = got.where((F.col("lang_pred") != language_id.UNDETERMINED) & (F.col("score") >= LEAST_LANGUAGE_SCORE))
+    return kept.select(*[F.col(own.get(c, c)).alias(c) for c in docs.columns])
 
 
 def of_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
