@@ -40,11 +40,15 @@ def test_columns(spark):
 ODD = "doc_id long, text string, lang string, source string, n_chars long, node long, score double, lang_pred string, band string, t string, component_id int, ids string"
 
 
+#: Beyond the ids of the given documents.
+FAR = 10**6
+
+
 def odd_rows():
     words = "the people and their work in the house of the old town were there for a long time before the others came".split()
     text = " ".join(words * 6)
     rows = [(1, None), (2, ""), (3, " \n"), (4, text), (4, text), (5, text), (6, "12 34 !!"), (None, text + " end"), (None, None), (7, " ".join(words * 6000)), (8, "a" * 300000)]
-    return [(d, x, None, "s", None, 1, 0.5, "zz", None, "t", 3, None) for d, x in rows]
+    return [(d and FAR + d, x, None, "s", None, 1, 0.5, "zz", None, "t", 3, None) for d, x in rows]
 
 
 def test_stages_on_odd_rows(spark):
@@ -59,13 +63,13 @@ def test_stages_on_odd_rows(spark):
         rows = [tuple(r) for r in out.collect()]
         assert out.columns == mixed.columns and set(rows) <= given, name
         if name == "language_id":
-            assert not [r for r in rows if r[0] in (1, 2, 3, 6)] and len([r for r in rows if r[0] == 4]) == 2
+            assert not [r for r in rows if r[0] in (FAR + 1, FAR + 2, FAR + 3, FAR + 6)] and len([r for r in rows if r[0] == FAR + 4]) == 2
         if name == "near_dup":
-            assert len([r for r in rows if r[0] == 4]) == 2 and not [r for r in rows if r[0] == 5] and len([r for r in rows if r[0] is None]) == 2
+            assert len([r for r in rows if r[0] == FAR + 4]) == 2 and not [r for r in rows if r[0] == FAR + 5] and len([r for r in rows if r[0] is None]) == 2
         if name == "decontaminate":
-            assert [r for r in rows if r[0] == 1]
+            assert [r for r in rows if r[0] == FAR + 1]
     last = cp.tokenized(spark, docs, d).collect()
-    assert len(last) == len(odd_rows()) and {r["n_tokens"] for r in last if r["doc_id"] in (1, 2)} == {2}
+    assert len(last) == len(odd_rows()) and {r["n_tokens"] for r in last if r["doc_id"] in (FAR + 1, FAR + 2)} == {2}
 
 
 def test_stages_on_an_empty_table(spark):
