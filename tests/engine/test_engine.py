@@ -88,6 +88,17 @@ def test_reconstruct(cat):
     assert rows(got.collect()) == rows(cat.table("lineitem").select(*p.sort_cols).collect())
 
 
+def test_reconstruct_joins_runs_and_not_rows(spark):
+    """One run of many rows is a small file: its rows must not be taken for a side that fits a broadcast."""
+    df = spark.range(200_000).selectExpr("'a' as a", "id % 2 as b", "id as d")
+    c, p = OneTable(spark, df), SortedProjection("long", "t", (), ("a", "b", "d"))
+    got = runs.reconstruct(c, p)
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" in plan and plan.rindex("Generate explode") < plan.index("Join"), plan
+    assert got.count() == got.select("pos").distinct().count() == 200_000
+    assert got.select(*p.sort_cols).exceptAll(df).isEmpty()
+
+
 class OneTable(Catalog):
     def __init__(self, spark, df):
         super().__init__(spark, "none")
