@@ -56,15 +56,19 @@ def nested(rnd, outer, longest):
 # ---- worked example and invariants -----------------------------------------------------------
 
 
+FIG3 = [(1, 1, 1), (1, 1, 4), (1, 2, 4), (1, 2, 5), (1, 2, 5), (2, 1, 1), (2, 1, 1), (2, 3, 1), (2, 3, 2), (2, 3, 2), (2, 3, 3), (2, 3, 4)]
+
+
 def test_worked_example(spark):
     got = {}
-    for r in queries.fig3_runs(catalog(spark, SF)).collect():
+    example = OneTable(spark, spark.createDataFrame(FIG3, "a int, b int, x int"))
+    for r in queries.all_runs(example, SortedProjection("fig3", "t", (), ("a", "b", "x"))).collect():
         got.setdefault(r["column"], []).append((r["f"], r["v"], r["c"]))
     assert sorted(got["a"]) == [(1, 1, 5), (6, 2, 7)]
     assert sorted(got["b"]) == [(1, 1, 2), (3, 2, 3), (6, 1, 2), (8, 3, 5)]
     assert len(got["x"]) == 9 and sum(c for _, _, c in got["x"]) == 12
     assert layout.choose(12, 9, "int", 0) == "points" and layout.choose(12, 4, "int", 0) == "runs"
-    line = spark.createDataFrame([(i + 1, r[2]) for i, r in enumerate(queries.FIG3)], "pos long, v int")
+    line = spark.createDataFrame([(i + 1, r[2]) for i, r in enumerate(FIG3)], "pos long, v int")
     for block in (1, 5, 64):
         assert runs.unbroken_runs(line, block).count() == 7
 
@@ -82,6 +86,14 @@ def test_invariants(cat, p):
     assert lead.select("v").distinct().count() == lead.count()
 
 
+def test_runs_of_all_columns_come_from_a_given_table(spark, con):
+    df = queries.QUERIES["fig3_runs"](spark, SF)
+    want = rows(con.execute(queries.ORACLES["fig3_runs"]).fetchall())
+    assert rows(df.select("column", "f", "v", "c").collect()) == want
+    total = con.execute("select count(*) from lineitem").fetchone()[0]
+    assert all(sum(r[3] for r in want if r[0] == c) == total for c in queries.FIG3_PROJECTION.sort_cols)
+
+
 def test_reconstruct(cat):
     p = w.S5
     got = runs.reconstruct(cat, p).select(*p.sort_cols)
