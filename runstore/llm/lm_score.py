@@ -16,17 +16,20 @@ entries) reach the driver and are broadcast, whatever the corpus' size.
 
 `score_whole` is the same model over every word of the background (the unknown
 word stays, never counted), so nothing is lost to a cut vocabulary.  Words are
-64-bit hashes; bigram and word counts are tables that grow with the corpus and
-are only joined.  What reaches the driver are totals and the counts of the
-`_HOT` most frequent bigrams and words at most: these are broadcast, so that no
-frequent key meets one task; all others are joined by shuffles.  A document's
-sums are gathered by a number of its own (partition and place in it, the same
-whenever a task runs again), so ids may be null or repeat.
+64-bit hashes, bigrams 72-bit ones.  The documents are dealt into pieces by a
+hash of id and text.  A piece counts its own bigrams and words and sends them,
+sorted by hash, in one packed row to each range of hashes; a range sums what
+came and sends each piece the totals in the order in which the keys came, so
+keys travel once and no row is made of a bigram.  The piece counts again, puts
+the totals beside its keys and sums the losses of its documents.  A bigram or
+word, however frequent, is one key of a piece, so none makes a task large.
+Only totals reach the driver, and nothing that is counted is broadcast.
 
 A null text, or one without words, has 0 tokens and null losses and score.
 Target ids that are null or not in the documents count for nothing; repeated
 ids count once per document row.  An empty target set leaves the target model
-uniform.  Very long texts are handled alone.  An empty table gives no rows.
+uniform.  Very long texts make their piece as much longer.  An empty table
+gives no rows.
 Other columns, whatever their names, are not read.
 """
 
@@ -47,8 +50,10 @@ from runstore.llm import base
 WORDS, WEIGHT = 1024, 0.7
 #: Tokens counted before their sums are handed on, and bytes of text whose words are found at a time.
 _HELD, _HELD_BYTES = 1_000_000, 2 << 20
-#: Frequent words, and frequent bigrams, that are broadcast.
-_HOT = 1 << 18
+#: Bytes of text of a piece whose counts are in hand together, about.
+_HOT = 4 << 20
+#: Bytes of text for each range of hashes, and for each of the first `_RANGES`, about.
+_RANGE_BYTES, _FIRST_BYTES, _RANGES = 16 << 20, 4 << 20, 64
 #: Stands before the first word.
 _START = np.int64(0x51A27)
 _STEP = np.uint64(0x9E3779B97F4A7C15)
@@ -183,136 +188,148 @@ def hashed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return v, w, n
 
 
-def _pair(v: np.ndarray, w: np.ndarray) -> np.ndarray:
-    return base.mix64(v.view(np.uint64) * _STEP + w.view(np.uint64))
-
-
-def _frequencies(rows: DataFrame) -> DataFrame:
-    """Rows (v, w, b, t): each bigram's count in all documents and in the target's, of a frame (text, in_target)."""
-
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list = []
-        n = 0
-
-        def done() -> pa.RecordBatch:
-            v, w, t = (np.concatenate(c) for c in zip(*held)) if held else (np.zeros(0, np.int64),) * 3
-            _, at, to = np.unique(_pair(v, w), return_index=True, return_inverse=True)
-            b, good = np.bincount(to, minlength=len(at)), np.bincount(to, t, len(at))
-            held.clear()
-            return pa.RecordBatch.from_arrays([pa.array(v[at]), pa.array(w[at]), pa.array(b.astype(np.int64)), pa.array(good.astype(np.int64))], names=["v", "w", "b", "t"])
-
-        for batch in batches:
-            for lo, hi in base.slices(batch.column(0), _HELD_BYTES):
-                v, w, sizes = hashed(batch.column(0).slice(lo, hi - lo))
-                target = batch.column(1).slice(lo, hi - lo).to_numpy(zero_copy_only=False).astype(np.int64)
-                held.append((v, w, np.repeat(target, sizes)))
-                n += len(w)
-                if n > _HELD:
-                    yield done()
-                    n = 0
-        yield done()
-
-    got = rows.mapInArrow(count, "v long, w long, b long, t long")
-    return got.groupBy("v", "w").agg(F.sum("b").alias("b"), F.sum("t").alias("t"))
-
-
-def _frequent(df: DataFrame, count: str, most: int) -> int:
-    """The least power of two that at most `most` rows' counts reach."""
-    tiers = df.groupBy(F.floor(F.log2(count)).cast("int").alias("k")).agg(F.count("*").alias("n")).collect()
-    least = 0
-    for k in sorted((r["k"] for r in tiers), reverse=True):
-        if sum(r["n"] for r in tiers if r["k"] >= k) > most:
-            least = k + 1
-            break
-    return 1 << least
-
-
-def _with_counts(pairs: DataFrame, words: DataFrame, least: int, on: str, columns: dict[str, str]) -> DataFrame:
-    """pairs with the named counts of the word in column `on`: frequent words by broadcast, the others by a shuffled join."""
-    table = words.select(F.col("word").alias(on), "occurs", *[F.col(a).alias(b) for a, b in columns.items()])
-    marked = pairs.join(F.broadcast(table.where(F.col("occurs") >= least).drop("occurs")), on, "left")
-    first = next(iter(columns.values()))
-    seldom = marked.where(F.col(first).isNull()).drop(*columns.values())
-    return marked.where(F.col(first).isNotNull()).unionByName(seldom.join(table.where(F.col("occurs") < least).drop("occurs").hint("shuffle_merge"), on))
+def _pair(v: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """64 bits and 8 more of each bigram's hash."""
+    v, w = v.view(np.uint64), w.view(np.uint64)
+    return base.mix64(v * _STEP + w), (base.mix64(w * _STEP ^ v) >> np.uint64(56)).astype(np.uint8)
+
+
+def _distinct(key: np.ndarray, more: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(distinct keys in order, their further bits, the place of each given key among them)."""
+    order = np.argsort(key)
+    k, m = key[order], more[order]
+    new = np.ones(len(k), bool)
+    new[1:] = k[1:] != k[:-1]
+    if (~new[1:] & (m[1:] != m[:-1])).any():  # equal in the first bits alone: order by all
+        order = np.lexsort((more, key))
+        k, m = key[order], more[order]
+        new[1:] = (k[1:] != k[:-1]) | (m[1:] != m[:-1])
+    place = np.empty(len(k), np.int64)
+    place[order] = np.cumsum(new) - 1
+    return k[new], m[new], place
+
+
+def _packed(columns: list[np.ndarray], n: int) -> bytes:
+    """Columns of n whole numbers below 2^64 each, byte by byte, compressed; after the number of rows."""
+    planes = b"".join(np.ascontiguousarray(c).astype(np.uint64).view(np.uint8).reshape(n, 8).T.tobytes() for c in columns)
+    return int(n).to_bytes(8, "little") + (pa.Codec("zstd").compress(planes, asbytes=True) if n else b"")
+
+
+def _unpacked(blob: bytes, columns: int) -> list[np.ndarray]:
+    n = int.from_bytes(blob[:8], "little")
+    if not n:
+        return [np.zeros(0, np.uint64)] * columns
+    raw = pa.Codec("zstd").decompress(blob[8:], n * 8 * columns, asbytes=True)
+    return [np.ascontiguousarray(x.T).view(np.uint64).ravel() for x in np.frombuffer(raw, np.uint8).reshape(columns, 8, n)]
+
+
+class _Piece:
+    """The words of a piece's texts: its distinct bigrams and words, sorted by hash whatever the order of the texts."""
+
+    def __init__(self, texts: pa.ChunkedArray):
+        found = [hashed(chunk.slice(lo, hi - lo)) for chunk in texts.chunks for lo, hi in base.slices(chunk, _HELD_BYTES)]
+        v, w, self.sizes = (np.concatenate(x) if found else np.zeros(0, np.int64) for x in (zip(*found) if found else ((), (), ())))
+        first = np.concatenate([[0], np.cumsum(self.sizes)])[:-1][self.sizes > 0]
+        self.pairs, self.more, self.pair_at = _distinct(*_pair(v, w))
+        every = np.append(w, _START).view(np.uint64)
+        self.words, _, at = _distinct(every, np.zeros(len(every), np.uint8))
+        self.word_at, start = at[:-1], at[-1]
+        self.context_at = np.empty_like(self.word_at)
+        self.context_at[1:] = self.word_at[:-1]
+        self.context_at[first] = start
+
+    def per_token(self, of_text: np.ndarray) -> np.ndarray:
+        return np.repeat(of_text, self.sizes)
+
+
+def _bounds(ranges: int) -> np.ndarray:
+    """The least hash of each range after the first."""
+    return np.array([-(-(r << 64) // ranges) for r in range(1, ranges)], np.uint64)
+
+
+def _counted(ranges: int) -> Callable[[pa.Table], pa.Table]:
+    """A piece (piece, doc_id, t, in_target) as rows (part, piece, pairs, words): its keys with their counts in all texts and in the target's."""
+
+    def run(rows: pa.Table) -> pa.Table:
+        x = _Piece(rows["t"])
+        good = x.per_token(rows["in_target"].to_numpy().astype(float))
+        count = lambda at, n: (np.bincount(at, minlength=n), np.bincount(at, good, n))
+        b, t = count(x.pair_at, len(x.pairs))
+        of_words = [*count(x.word_at, len(x.words)), *count(x.context_at, len(x.words))]
+        cuts = [[0, *np.searchsorted(k, _bounds(ranges)), len(k)] for k in (x.pairs, x.words)]
+        parts, pairs, words = [], [], []
+        for r in range(ranges):
+            (a, z), (c, d) = (cut[r : r + 2] for cut in cuts)
+            if z > a or d > c:
+                parts.append(r)
+                pairs.append(_packed([np.diff(x.pairs[a:z], prepend=np.uint64(0)), x.more[a:z], b[a:z], t[a:z]], z - a))
+                words.append(_packed([np.diff(x.words[c:d], prepend=np.uint64(0)), *[o[c:d] for o in of_words]], d - c))
+        piece = pa.array([rows["piece"][0].as_py()] * len(parts), pa.int64())
+        return pa.table([pa.array(parts, pa.int64()), piece, pa.array(pairs, pa.binary()), pa.array(words, pa.binary())], names=["part", "piece", "pairs", "words"])
+
+    return run
+
+
+def _summed(rows: pa.Table) -> pa.Table:
+    """A range of hashes, as rows of `_counted`, to the same rows with the totals in place of the counts, without keys; the first row has the range's own totals."""
+    out = {}
+    for name, keyed in (("pairs", 2), ("words", 1)):
+        got = [_unpacked(x.as_py(), keyed + (2 if keyed == 2 else 4)) for x in rows[name]]
+        ends = np.cumsum([0, *[len(g[0]) for g in got]])
+        key = np.concatenate([np.cumsum(g[0], dtype=np.uint64) for g in got])
+        more = np.concatenate([g[1].astype(np.uint8) for g in got]) if keyed == 2 else np.zeros(len(key), np.uint8)
+        k, _, at = _distinct(key, more)
+        totals = [np.bincount(at, np.concatenate([g[c] for g in got]).astype(float), len(k)) for c in range(keyed, len(got[0]))]
+        out[name] = [_packed([s[at[a:z]] for s in totals], z - a) for a, z in zip(ends, ends[1:])]
+    b, t = totals[:2]
+    own = [[int(x), *[0] * (len(rows) - 1)] for x in (b.sum(), t.sum(), np.count_nonzero(b))]
+    columns = [rows["part"], rows["piece"], *[pa.array(out[c], pa.binary()) for c in ("pairs", "words")], *[pa.array(o, pa.int64()) for o in own]]
+    return pa.table(columns, names=["part", "piece", "pairs", "words", "b", "t", "k"])
+
+
+def _scored(weight: float, b: int, t: int, k: int) -> Callable[[pa.Table, pa.Table], pa.Table]:
+    """The documents of a piece with the totals of its keys, to rows of `score_whole`; b, t: words in all and in the target, k: distinct ones."""
+
+    def run(rows: pa.Table, totals: pa.Table) -> pa.Table:
+        x, totals = _Piece(rows["t"]), totals.sort_by("part")  # ranges in order are the keys in order
+        read = lambda name, n: [np.concatenate(c).astype(float) for c in zip(*[_unpacked(blob.as_py(), n) for blob in totals[name]])]
+        (pb, pt), (ub, ut, cb, ct) = read("pairs", 2), read("words", 4)
+        if len(pb) != len(x.pairs) or len(ub) != len(x.words):
+            raise RuntimeError(f"{len(pb)} and {len(ub)} totals came for {len(x.pairs)} bigrams and {len(x.words)} words")
+        any_of = np.empty(len(x.pairs), np.int64)
+        any_of[x.pair_at] = np.arange(len(x.pair_at))
+        v, w, text = x.context_at[any_of], x.word_at[any_of], x.per_token(np.arange(len(x.sizes)))
+
+        def mean(n: np.ndarray, context: np.ndarray, word: np.ndarray, tokens: int) -> np.ndarray:
+            plain = (word[w] + 1) / float(tokens + k + 1)
+            mixed = weight * n / np.maximum(context[v], 1) + (1 - weight) * plain
+            loss = -np.log(np.where(context[v] > 0, mixed, plain))
+            return np.bincount(text, loss[x.pair_at], len(x.sizes)) / np.maximum(x.sizes, 1)
+
+        lt, lb, none = mean(pt, ct, ut, t), mean(pb, cb, ub, b), x.sizes == 0
+        columns = [rows["doc_id"], pa.array(x.sizes.astype(np.int64)), *[pa.array(c, mask=none) for c in (lt, lb, lt - lb)]]
+        return pa.table(columns, names=["doc_id", "n_tokens", "target_loss", "background_loss", "score"])
+
+    return run
 
 
 def score_whole(docs: DataFrame, target_ids: DataFrame, weight: float = WEIGHT, id_col: str = "doc_id", text_col: str = "text", most: int = _HOT) -> DataFrame:
-    """Rows as of `score`, the vocabulary being every word of docs."""
+    """Rows as of `score`, the vocabulary being every word of docs.
+
+    most: bytes of text of a piece, about.
+    """
     ids = base.stored(target_ids.select(F.col(target_ids.columns[0]).cast("long").alias("__target")).where("__target is not null").distinct(), "lm_target")
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("t"))
-    marked = rows.join(base.checked_broadcast(ids), F.col("doc_id") == F.col("__target"), "left").select("t", F.col("__target").isNotNull().alias("in_target"))
-    freq = base.stored(_frequencies(marked), "lm_freq")
-    zero = F.lit(0).cast("long")
-    as_word = freq.groupBy(F.col("w").alias("word")).agg(F.sum("b").alias("b"), F.sum("t").alias("t"))
-    as_context = freq.groupBy(F.col("v").alias("word")).agg(F.sum("b").alias("cb"), F.sum("t").alias("ct"))
-    both = as_word.select("word", "b", "t", zero.alias("cb"), zero.alias("ct")).union(as_context.select("word", zero, zero, "cb", "ct"))
-    words = both.groupBy("word").agg(*[F.sum(c).alias(c) for c in ("b", "t", "cb", "ct")]).withColumn("occurs", F.greatest("b", "cb"))
-    words = base.stored(words, "lm_words")
-    total = words.agg(F.sum("b").alias("b"), F.sum("t").alias("t"), F.count_if(F.col("b") > 0).alias("k")).first()
-    least = _frequent(words, "occurs", most)
-
-    def loss(n: str, context: str, word: str, tokens: int) -> F.Column:
-        plain = (F.col(word) + 1) / F.lit(float(tokens + total["k"] + 1))
-        mixed = F.lit(weight) * F.col(n) / F.col(context) + F.lit(1 - weight) * plain
-        return -F.log(F.when(F.col(context) > 0, mixed).otherwise(plain))
-
-    def prob(counts: DataFrame) -> DataFrame:
-        known = _with_counts(counts, words, least, "v", {"cb": "cb", "ct": "ct"})
-        known = _with_counts(known, words, least, "w", {"b": "ub", "t": "ut"})
-        return known.select("v", "w", loss("t", "ct", "ut", total["t"] or 0).alias("lt"), loss("b", "cb", "ub", total["b"] or 0).alias("lb"))
-
-    floor = _frequent(freq, "b", most)
-    hot = prob(freq.where(F.col("b") >= floor)).toPandas()
-    hot_v, hot_w = hot["v"].to_numpy(np.int64), hot["w"].to_numpy(np.int64)
-    hot_p, hot_l = _pair(hot_v, hot_w), hot[["lt", "lb"]].to_numpy(float)
-    order = np.argsort(hot_p)
-    hot_v, hot_w, hot_p, hot_l = hot_v[order], hot_w[order], hot_p[order], hot_l[order]
-
-    def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """A row per seldom bigram of a document, and one (v = w = its number here) with its id, words and the losses of all its frequent bigrams."""
-        from pyspark import TaskContext
-
-        number = TaskContext.get().partitionId() << 40
-        for batch in batches:
-            for lo, hi in base.slices(batch.column(1), _HELD_BYTES):
-                v, w, sizes = hashed(batch.column(1).slice(lo, hi - lo))
-                pairs, cuts, docs = _pair(v, w), np.concatenate([[0], np.cumsum(sizes)]), number + np.arange(len(sizes))
-                number += len(sizes)
-                rows, cold, times, sums = [], [], [], np.zeros((len(sizes), 2))
-                for k, (a, b) in enumerate(zip(cuts, cuts[1:])):
-                    p, first, n = np.unique(pairs[a:b], return_index=True, return_counts=True)
-                    first += a
-                    at = np.minimum(np.searchsorted(hot_p, p), len(hot_p) - 1)
-                    hit = (hot_v[at] == v[first]) & (hot_w[at] == w[first]) if len(hot_p) else np.zeros(len(p), bool)
-                    if hit.any():
-                        sums[k] = n[hit] @ hot_l[at[hit]]
-                    cold.append(first[~hit])
-                    times.append(n[~hit])
-                    rows.append(np.full(len(cold[-1]), docs[k]))
-                rows, cold, times = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (rows, cold, times))
-                seldom = len(rows)
-                none = np.zeros(seldom + len(sizes), bool)
-                none[:seldom] = True
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(np.concatenate([rows, docs])),
-                        pa.concat_arrays([pa.nulls(seldom, pa.int64()), batch.column(0).slice(lo, hi - lo)]),
-                        pa.array(np.concatenate([v[cold], docs])),
-                        pa.array(np.concatenate([w[cold], docs])),
-                        pa.array(np.concatenate([times, sizes])),
-                        *[pa.array(np.concatenate([np.zeros(seldom), sums[:, c]]), mask=none) for c in (0, 1)],
-                    ],
-                    names=["number", "doc_id", "v", "w", "n", "st", "sb"],
-                )
-
-    parts = rows.mapInArrow(emit, "number long, doc_id long, v long, w long, n long, st double, sb double")
-    joined = parts.join(prob(freq.where(F.col("b") < floor)), ["v", "w"], "left")
-    words_of = F.max(F.when(F.col("st").isNotNull(), F.col("n")))
-    of = [F.sum(F.coalesce(a, F.col("n") * F.col(b))) for a, b in (("st", "lt"), ("sb", "lb"))]
-    out = joined.groupBy("number").agg(F.max("doc_id").alias("doc_id"), words_of.alias("n_tokens"), of[0].alias("lt"), of[1].alias("lb"))
-    mean = [F.when(F.col("n_tokens") > 0, F.col(c) / F.col("n_tokens")) for c in ("lt", "lb")]
-    out = out.select("doc_id", "n_tokens", mean[0].alias("target_loss"), mean[1].alias("background_loss"))
-    return out.withColumn("score", F.col("target_loss") - F.col("background_loss"))
+    size = rows.agg(F.sum(F.octet_length("t"))).first()[0] or 0
+    pieces = -(-size // max(1, most)) or 1
+    ranges = max(-(-size // _RANGE_BYTES), min(_RANGES, -(-size // _FIRST_BYTES)), 1)
+    rows = rows.withColumn("piece", F.pmod(F.xxhash64("doc_id", "t"), F.lit(pieces).cast("long")))
+    marked = rows.join(base.checked_broadcast(ids), F.col("doc_id") == F.col("__target"), "left").select("piece", "doc_id", "t", F.col("__target").isNotNull().alias("in_target"))
+    sent = marked.groupBy("piece").applyInArrow(_counted(ranges), "part long, piece long, pairs binary, words binary")
+    totals = base.stored(sent.groupBy("part").applyInArrow(_summed, "part long, piece long, pairs binary, words binary, b long, t long, k long"), "lm_totals")
+    of = totals.agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("b", "t", "k")]).first()
+    back = totals.select("piece", "part", "pairs", "words").groupBy("piece")
+    return rows.groupBy("piece").cogroup(back).applyInArrow(_scored(weight, of["b"], of["t"], of["k"]), "doc_id long, n_tokens long, target_loss double, background_loss double, score double")
 
 
 def _rounded(spark: SparkSession, sf_dir: str, how: Callable[[DataFrame, DataFrame], DataFrame]) -> DataFrame:

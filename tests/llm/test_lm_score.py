@@ -68,3 +68,40 @@ def test_whole_edges(spark):
     assert sorted(r["n_tokens"] for r in got) == [0, 0, 2, 90000]
     assert all((r["score"] is None) == (r["n_tokens"] == 0) for r in got)
     assert lm.score_whole(spark.createDataFrame([], SCHEMA), none).count() == 0
+
+
+def test_whole_in_several_pieces_and_ranges(spark, monkeypatch):
+    d = "/root/testdata/sf0.001"
+    docs, good = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet").where("quality = 1").select("doc_id")
+    want = sorted(tuple(r) for r in lm.score_whole(docs, good).collect())
+    monkeypatch.setattr(lm, "_FIRST_BYTES", 40_000)
+    got = sorted(tuple(r) for r in lm.score_whole(docs, good, most=30_000).collect())
+    assert [g[:2] for g in got] == [x[:2] for x in want] and np.allclose([g[2:] for g in got], [x[2:] for x in want], atol=1e-9)
+
+
+def test_keys_that_agree_in_their_first_bits_stay_apart():
+    key, more = np.array([9, 4, 9, 9, 4], np.uint64), np.array([2, 7, 1, 2, 7], np.uint8)
+    k, m, at = lm._distinct(key, more)
+    assert k.tolist() == [4, 9, 9] and m.tolist() == [7, 1, 2] and at.tolist() == [2, 0, 1, 2, 0]
+
+
+def test_packed_columns_come_back():
+    for n in (0, 1, 1000):
+        cols = [np.random.default_rng(n + c).integers(0, 1 << 63, n).astype(np.uint64) for c in range(3)]
+        assert all((a == b).all() for a, b in zip(cols, lm._unpacked(lm._packed(cols, n), 3)))
+
+
+def test_whole_shuffles_little_more_than_its_text(spark):
+    """Of words that hardly repeat: no row is made of a bigram, keys go one way only."""
+    rnd = np.random.default_rng(5)
+    rows = [(i, " ".join(f"w{x}" for x in rnd.integers(0, 20_000, 600)), "") for i in range(300)]
+    docs, good = spark.createDataFrame(rows, SCHEMA), spark.createDataFrame([(10,), (20,)], "x long")
+    store, jvm = spark.sparkContext._jsc.sc().statusStore(), spark.sparkContext._jvm
+
+    def written() -> int:
+        none = spark.sparkContext._gateway.new_array(jvm.double, 0)
+        return sum(x.shuffleWriteBytes() for x in jvm.scala.jdk.javaapi.CollectionConverters.asJava(store.stageList(None, False, False, none, None)))
+
+    before = written()
+    assert lm.score_whole(docs, good).count() == 300
+    assert written() - before < 5 * sum(len(r[1]) for r in rows)
